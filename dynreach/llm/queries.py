@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from dynreach.llm import language_id, packing, prefix_tokens, secret_scan, sharding
+from dynreach.llm import language_id, minmax_dedup, packing, prefix_tokens, secret_scan, sharding
 from dynreach.llm.common import table
 
 
@@ -26,6 +26,10 @@ def op6_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secret_scan.digest(table(spark, sf_dir, "documents"))
 
 
+def op8_minmax_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return minmax_dedup.dedup(table(spark, sf_dir, "documents"), width=5, percent=85)
+
+
 def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.assign_shards(table(spark, sf_dir, "documents"), shards=8, law="rows")
 
@@ -35,6 +39,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op3_language_id": op3_language_id,
     "op5_best_fit_packing": op5_best_fit_packing,
     "op6_secret_scan": op6_secret_scan,
+    "op8_minmax_dedup": op8_minmax_dedup,
     "op10_sharding": op10_sharding,
 }
 
