@@ -5,8 +5,9 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from dynreach.llm import language_id, minmax_dedup, packing, prefix_tokens, secret_scan, sharding
+from dynreach.llm import language_id, minmax_dedup, mixing, packing, prefix_tokens, secret_scan, sharding, toxicity
 from dynreach.llm.common import table
 
 
@@ -14,6 +15,10 @@ def op1_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return prefix_tokens.token_counts(table(spark, sf_dir, "documents"), limit=512)
 
 
+def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.assess(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op3_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language_id.identify(table(spark, sf_dir, "documents"))
 
@@ -26,6 +31,12 @@ def op6_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secret_scan.digest(table(spark, sf_dir, "documents"))
 
 
+def op7_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "source", "text")
+    drawn = mixing.draw(docs.select("doc_id", "source", mixing.tokens().alias("n_tokens")), repeat_limit=2.0, token_count=F.col("n_tokens"))
+    return drawn.select("doc_id", "source", "n_tokens", "mix_exponent", "mix_weight", "mix_blocks", "mix_last", "mix_copies")
+
+
 def op8_minmax_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minmax_dedup.dedup(table(spark, sf_dir, "documents"), width=5, percent=85)
 
@@ -36,9 +47,11 @@ def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_token_counts": op1_token_counts,
+    "op2_toxicity": op2_toxicity,
     "op3_language_id": op3_language_id,
     "op5_best_fit_packing": op5_best_fit_packing,
     "op6_secret_scan": op6_secret_scan,
+    "op7_mixing": op7_mixing,
     "op8_minmax_dedup": op8_minmax_dedup,
     "op10_sharding": op10_sharding,
 }
