@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from dynreach.llm import language_id, minmax_dedup, mixing, packing, prefix_tokens, secret_scan, sharding, toxicity
+from dynreach.llm import cap_filters, language_id, minmax_dedup, mixing, one_bit_search, packing, prefix_tokens, secret_scan, sharding, toxicity
 from dynreach.llm.common import table
 
 
@@ -23,6 +23,10 @@ def op3_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language_id.identify(table(spark, sf_dir, "documents"))
 
 
+def op4_cap_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return cap_filters.near_duplicates(table(spark, sf_dir, "embeddings"), least=0.93)
+
+
 def op5_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), capacity=1024, end_id=2)
 
@@ -41,6 +45,11 @@ def op8_minmax_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minmax_dedup.dedup(table(spark, sf_dir, "documents"), width=5, percent=85)
 
 
+def op9_one_bit_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    vectors = table(spark, sf_dir, "embeddings")
+    return one_bit_search.search(vectors, vectors.where("vec_id % 20 = 0"), k=20)
+
+
 def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.assign_shards(table(spark, sf_dir, "documents"), shards=8, law="rows")
 
@@ -49,10 +58,12 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_token_counts": op1_token_counts,
     "op2_toxicity": op2_toxicity,
     "op3_language_id": op3_language_id,
+    "op4_cap_filters": op4_cap_filters,
     "op5_best_fit_packing": op5_best_fit_packing,
     "op6_secret_scan": op6_secret_scan,
     "op7_mixing": op7_mixing,
     "op8_minmax_dedup": op8_minmax_dedup,
+    "op9_one_bit_search": op9_one_bit_search,
     "op10_sharding": op10_sharding,
 }
 
