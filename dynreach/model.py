@@ -51,7 +51,7 @@ class Index:
         return self.edges.sparkSession
 
     def next(self, **changed) -> Index:
-        return replace(self, version=self.version + 1, **changed)
+        return replace(self, **{"version": self.version + 1} | changed)
 
 
 def check_ids(edges: DataFrame) -> None:
