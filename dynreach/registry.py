@@ -134,7 +134,7 @@ _LOOKUP = with_graph("part_hops", _MERGED + " select node, case when comp in (se
 add("component_lookup", lambda s, d: C.find(_forest(s, d)[0], index(s, d, "part_hops").nodes), _LOOKUP)
 add("flat_membership", lambda s, d: C.flat_membership(index(s, d, "part_hops").membership, _forest(s, d)[1], _forest(s, d)[2]), _LOOKUP)
 add("merge_representative", lambda s, d: C.pick_representative(_forest(s, d)[1]).select("rep", F.col("size").cast("long").alias("size")), with_graph("part_hops", _MERGED + " select (select comp from rep) rep, sum(size)::bigint size from z"))
-add("containment_depth", lambda s, d: s.createDataFrame([(C.depth(_forest(s, d)[0]), C.depth(C.compress(_forest(s, d)[0])))], "before int, after int"), "select 2::int \"before\", 1::int \"after\"")
+add("containment_depth", lambda s, d: s.createDataFrame([(C.depth(_forest(s, d)[0]), C.depth(C.compress(_forest(s, d)[0])))], "before int, after int"), with_graph("part_hops", _MERGED + " select case when exists (select 1 from z where size > 1 and comp <> (select comp from rep)) then 2 else 1 end::int \"before\", 1::int \"after\""))
 
 # labels
 
