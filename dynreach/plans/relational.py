@@ -103,7 +103,7 @@ def join_theta_size(s, d):
     part = t(s, d, "part").select("p_partkey", "p_brand", "p_size", "p_retailprice")
     brand = part.agg(F.min("p_brand").alias("p_brand"))
     one = part.join(F.broadcast(brand), "p_brand")  # one row
-    a, b = (one.select(F.col("p_partkey").alias(x), (F.col("p_size") + (x == "a")).alias("size"), F.col("p_retailprice").alias(f"p{x}")) for x in "ab")
+    a, b = (one.select(F.col("p_partkey").alias(x), (F.col("p_size") + int(x == "a")).alias("size"), F.col("p_retailprice").alias(f"p{x}")) for x in "ab")
     return a.join(b, "size").where("pa < pb").select("a", "b")
 
 

@@ -25,7 +25,9 @@ def ops_wiki_like(spark: SparkSession, d: str, most: int = 1000) -> tuple[DataFr
     edges back; `A` lines lose theirs after 90 days; some finished orders go 30 days after their last line.
     """
     lines, orders = G.read(spark, d, "lineitem"), G.read(spark, d, "orders")
-    t0 = lines.selectExpr("percentile_disc(0.95) within group (order by l_shipdate) t0")
+    dates = lines.groupBy(F.col("l_shipdate").alias("t0")).count()  # a row a date
+    running = F.sum("count").over(Window.orderBy("t0"))
+    t0 = dates.select("t0", running.alias("upto"), F.sum("count").over(Window.partitionBy()).alias("all")).where("upto >= 0.95 * `all`").agg(F.min("t0").alias("t0"))
     dated = lines.select("l_orderkey", "l_partkey", "l_shipdate", "l_quantity", "l_returnflag", "l_discount").join(F.broadcast(t0))  # one row
     o, p = G.node("l_orderkey", G.ORDER), G.node("l_partkey", G.PART)
     out, back = F.col("l_quantity") <= 40, (F.col("l_returnflag") == "R") & (F.col("l_discount") >= 0.095)

@@ -394,12 +394,12 @@ def _stepwise(s: SparkSession, d: str, ops: list[tuple]) -> Index:
     return ix
 
 
-# the case of every operation, from the kernel's log: (N,B) merges, and so on
+# the case of every operation, from the kernel's log: (R,D) has (R,E) beside it, and E hangs on (D,E) alone
 _CASES = [("insert_edge", 17, 0), ("insert_edge", 0, 2), ("insert_edge", 0, 7), ("insert_edge", 10, 12), ("insert_edge", 13, 1), ("delete_edge", 0, 18), ("delete_edge", 0, 7), ("delete_edge", 17, 3), ("delete_edge", 3, 4), ("delete_edge", 13, 1)]
 add(
     "update_cases_example",
     lambda s, d: U.sequential(index(s, d, "example_graph").nodes, edges(s, d, "example_graph"), example_ops(s, _CASES), 2)[0].select("op_id", "kind", "case"),
-    "select * from (values (0::bigint, 'insert_edge', 'I0'), (1, 'insert_edge', 'I1'), (2, 'insert_edge', 'I2'), (3, 'insert_edge', 'I4'), (4, 'insert_edge', 'I5'), (5, 'delete_edge', 'D0'), (6, 'delete_edge', 'D3'), (7, 'delete_edge', 'D2'), (8, 'delete_edge', 'D0'), (9, 'delete_edge', 'D4')) x(op_id, kind, \"case\")",
+    "select * from (values (0::bigint, 'insert_edge', 'I0'), (1, 'insert_edge', 'I1'), (2, 'insert_edge', 'I2'), (3, 'insert_edge', 'I4'), (4, 'insert_edge', 'I5'), (5, 'delete_edge', 'D0'), (6, 'delete_edge', 'D3'), (7, 'delete_edge', 'D1'), (8, 'delete_edge', 'D4'), (9, 'delete_edge', 'D4')) x(op_id, kind, \"case\")",
 )
 for _name, _modes in (("two_phase", {}), ("fixpoint", {"propagate": "fixpoint"}), ("unordered", {"propagate": "unordered"}), ("naive_split", {"split": "naive"}), ("shrink", {"shrink": True})):
     add(
