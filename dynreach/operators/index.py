@@ -7,13 +7,15 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from dynreach import model
 from dynreach.conf import DEFAULT, EngineConf
 from dynreach.model import Index, check_ids
 from dynreach.operators import condense, containment, labels as L, scc
 from dynreach.plans.loops import cut
 from dynreach.sources.graphs import nodes_of
 
-TABLES = ("nodes", "edges", "membership", "components", "dag_edges", "labels", "containment")
+#: Declared, as an empty table leaves no file to read a schema from.
+TABLES = {"nodes": model.NODES, "edges": model.EDGES, "membership": model.MEMBERSHIP, "components": model.COMPONENTS, "dag_edges": model.DAG_EDGES, "labels": model.LABELS, "containment": model.CONTAINMENT}
 
 
 def build(edges: DataFrame, nodes: DataFrame | None = None, k: int = 1, seed: int = 42, labeling: str = "auto", method: str = "auto", order: str = "random", conf: EngineConf = DEFAULT) -> Index:
@@ -54,5 +56,5 @@ def load(spark: SparkSession, path: str, version: int | None = None) -> Index:
     """A committed version, the newest unless named."""
     rows = versions(spark, path)
     row = (rows if version is None else rows.where(F.col("version") == version)).orderBy(F.desc("version")).first()
-    tables = {name: spark.read.parquet(f"{row.folder}/{name}").drop("bucket") for name in TABLES}
+    tables = {name: spark.read.schema(f"{columns}, bucket int").parquet(f"{row.folder}/{name}").drop("bucket") for name, columns in TABLES.items()}
     return Index(**tables, k=row.k, version=row.version)
