@@ -34,7 +34,7 @@ WIDTH, PERCENT = 5, 85
 PERMUTATIONS, ROWS = 128, 8
 BANDS = 2 * PERMUTATIONS // ROWS
 BLOCK, PART, PACK = 512, 20_000, 512
-MOST_WORDS = 1_500_000
+MOST_WORDS = 400_000
 _STEP, _MIX = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)
 _LOWER = bytes(range(65)) + bytes(range(97, 123)) + bytes(range(91, 256))
 _ODD = seeded(97).integers(0, 1 << 31, PERMUTATIONS, dtype=np.uint64).astype(np.uint32) * np.uint32(2) + np.uint32(1)
@@ -114,6 +114,7 @@ def sketches(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", wi
             keys = iter(band_keys(np.stack(rows))) if rows else iter(())
             bands = [next(keys) if n else None for n in sizes]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sizes, pa.int64()), pa.array(hashes, pa.binary()), pa.array(bands, pa.list_(pa.int64()))], [id_col, "n_shingles", "set_hash", "bands"])
+        _WORDS.clear()  # the worker goes on to other operators
 
     return docs.select(id_col, text_col).mapInArrow(run, f"`{id_col}` {kind}, n_shingles long, set_hash binary, bands array<long>")
 
@@ -211,6 +212,7 @@ def links(docs: DataFrame, sketched: DataFrame, id_col: str = "doc_id", text_col
             own = group["own"].to_numpy() if i != j else None
             for x, y in verified_links(sets, np.stack(group["bands"].tolist()), own, None if pd.isna(bucket) else int(bucket), percent):
                 found.append((ids[x], ids[y]))
+        _WORDS.clear()
         return pd.DataFrame(found, columns=["a", "b"]).astype("int64")
 
     near = shipped.groupBy("task").applyInPandas(check, "a long, b long")

@@ -21,7 +21,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
 #: Entries that a worker keeps before it starts its table of units anew, and the longest kept.
-CACHE_UNITS, CACHE_CHARS, GROUP_CHARS = 1_500_000, 64, 8_000_000
+CACHE_UNITS, CACHE_CHARS, GROUP_CHARS = 1_200_000, 64, 8_000_000
 
 
 class Encoder:
