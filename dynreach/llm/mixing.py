@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 
 from dynreach.llm.common import cut
 
-BYTES_PER_TOKEN, BUCKET_ROWS, SECTIONS, ROUNDS = 4, 20_000, 32, 5
+BYTES_PER_TOKEN, BUCKET_ROWS, SECTIONS, ROUNDS = 4, 1_000, 32, 5
 #: Tables of sources up to this many rows are broadcast; larger ones are joined by shuffle.
 MOST_BROADCAST = 100_000
 
