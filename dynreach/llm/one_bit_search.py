@@ -75,7 +75,7 @@ def best_of_block(
             least = np.sort(vectors[first] @ queries[q])[-k] if len(first) >= k else -np.inf
             chosen = np.flatnonzero(upper >= least - 1e-5 * abs(least)) if least > -np.inf else np.arange(len(ids))
             chosen = chosen[ids[chosen] != query_ids[q]]
-            products = vectors[chosen] @ queries[q]
+            products = np.cumsum(vectors[chosen] * queries[q], axis=1)[:, -1]  # summed in order, as SQL does
             order = np.lexsort((ids[chosen], -products))[:k]
             yield query_ids[q], ids[chosen][order], products[order]
 

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from dynreach.llm import cap_filters, language_id, minmax_dedup, mixing, one_bit_search, packing, prefix_tokens, secret_scan, sharding, toxicity
+from dynreach.llm import cap_filters, language_id, minmax_dedup, mixing, one_bit_search, packing, prefix_tokens, secret_scan, sharding, sql, toxicity
 from dynreach.llm.common import table
 
 
@@ -67,4 +67,4 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op10_sharding": op10_sharding,
 }
 
-ORACLE_SQL: dict[str, str] = {}
+ORACLE_SQL: dict[str, str] = {"op4_cap_filters": sql.OP4, "op6_secret_scan": sql.OP6, "op8_minmax_dedup": sql.OP8, "op9_one_bit_search": sql.OP9}
