@@ -184,11 +184,12 @@ class Boosted:
 
 def isotonic(raw: np.ndarray, y: np.ndarray, w: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Pool adjacent violators: knots (raw value, share) of the non-decreasing fit."""
-    order = np.argsort(raw, kind="stable")
+    values, at = np.unique(raw, return_inverse=True)  # equal values are one to begin with
+    weight, total = np.bincount(at, w), np.bincount(at, w * y)
     blocks: list[list[float]] = []  # weight, weighted sum, first and last raw value
-    for r, v, m in zip(raw[order], y[order], w[order]):
-        blocks.append([m, m * v, r, r])
-        while len(blocks) > 1 and (blocks[-2][3] == blocks[-1][2] or blocks[-2][1] * blocks[-1][0] >= blocks[-1][1] * blocks[-2][0]):
+    for r, m, v in zip(values, weight, total):
+        blocks.append([m, v, r, r])
+        while len(blocks) > 1 and blocks[-2][1] * blocks[-1][0] >= blocks[-1][1] * blocks[-2][0]:
             m2, s2, _, last = blocks.pop()
             blocks[-1] = [blocks[-1][0] + m2, blocks[-1][1] + s2, blocks[-1][2], last]
     knots = [(x, s / m) for m, s, a, b in blocks for x in ((a, b) if b > a else (a,))]
