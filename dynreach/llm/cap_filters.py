@@ -4,6 +4,8 @@ A filter is a direction made of one random codeword for each of two blocks of th
 coordinates; a vector passes if its product with the direction exceeds a threshold. Products with
 the blocks' codewords are computed once, and all passing pairs of codewords are listed from them.
 The threshold is set from random vectors so that a vector passes about `listed` filters of each of TABLES codes.
+The number of codewords grows with the root of the largest label's vectors, so a filter holds as many
+unlike vectors at any size.
 
 Vectors meet in the filters they share with equal labels: filters with one vector drop out before any vector is
 moved, large ones are cut into blocks and every pair of blocks is a task of its own. A pair counts in its
@@ -30,45 +32,47 @@ from dynreach.llm.common import Forest, components, cut, seeded
 from dynreach.llm.vectors import rotation, usable
 
 CODEWORDS, TABLES, LISTED, SHORT = 256, 4, 16, 8
+#: Filters of a code for each vector of the largest label, so that unlike vectors rarely meet at any size.
+FILTERS_A_VECTOR = 64
 BLOCK, PACK = 512, 2048
 
 
 @lru_cache(maxsize=16)
-def code(d: int, table: int, listed: float, seed: int) -> tuple[np.ndarray, tuple[np.ndarray, np.ndarray], float]:
+def code(d: int, table: int, listed: float, seed: int, codewords: int) -> tuple[np.ndarray, tuple[np.ndarray, np.ndarray], float]:
     """Rotation, codewords of both blocks, and the threshold."""
     turn = rotation(d, seed + table)
     rng = seeded(seed * 7919 + table * 31 + d)
     words = []
     for width in (d // 2, d - d // 2):
-        w = rng.standard_normal((CODEWORDS, width))
+        w = rng.standard_normal((codewords, width))
         words.append(w / np.linalg.norm(w, axis=1, keepdims=True) / np.sqrt(2))
-    probe = rng.standard_normal((64, d))
+    probe = rng.standard_normal((16, d))
     probe /= np.linalg.norm(probe, axis=1, keepdims=True)
     sums = (probe[:, : d // 2] @ words[0].T)[:, :, None] + (probe[:, d // 2 :] @ words[1].T)[:, None, :]
-    return turn, tuple(words), float(np.quantile(sums, 1 - listed / CODEWORDS**2))
+    return turn, tuple(words), float(np.quantile(sums, 1 - listed / codewords**2))
 
 
-def passed(vectors: np.ndarray, listed: float = LISTED, seed: int = 3) -> list[np.ndarray]:
+def passed(vectors: np.ndarray, listed: float = LISTED, seed: int = 3, codewords: int = CODEWORDS) -> list[np.ndarray]:
     """Sorted numbers of the filters that each unit vector passes, over all tables; its best one at least."""
     n, d = vectors.shape
     if d <= SHORT:
         return [np.zeros(1, np.int64)] * n
     rows, numbers = [], []
     for table in range(TABLES):
-        turn, (first, second), least = code(d, table, listed, seed)
+        turn, (first, second), least = code(d, table, listed, seed, codewords)
         x = vectors @ turn
         a, b = x[:, : d // 2] @ first.T, x[:, d // 2 :] @ second.T
         top = b.max(1)
         r, i = np.nonzero(a + top[:, None] >= np.minimum(least, a.max(1) + top)[:, None])
         k, j = np.nonzero(b[r] >= np.minimum(least - a[r, i], top[r])[:, None])
         rows.append(r[k])
-        numbers.append(table * CODEWORDS**2 + i[k] * CODEWORDS + j)
+        numbers.append(table * codewords**2 + i[k] * codewords + j)
     rows, numbers = np.concatenate(rows), np.concatenate(numbers)
     order = np.lexsort((numbers, rows))
     return np.split(numbers[order], np.cumsum(np.bincount(rows, minlength=n))[:-1])
 
 
-def listed_filters(reps: DataFrame, listed: float, seed: int) -> DataFrame:
+def listed_filters(reps: DataFrame, listed: float, seed: int, codewords: int) -> DataFrame:
     """(rep, filters) of every row."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -80,11 +84,11 @@ def listed_filters(reps: DataFrame, listed: float, seed: int) -> DataFrame:
                 for k in range(0, len(at), 256):
                     part = np.stack([vectors[i] for i in at[k : k + 256]])
                     part /= np.abs(part).max(1, keepdims=True)
-                    for i, f in zip(at[k : k + 256], passed(part / np.linalg.norm(part, axis=1, keepdims=True), listed, seed)):
+                    for i, f in zip(at[k : k + 256], passed(part / np.linalg.norm(part, axis=1, keepdims=True), listed, seed, codewords)):
                         out[i] = f
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, pa.list_(pa.int32()))], ["rep", "filters"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, pa.list_(pa.int64()))], ["rep", "filters"])
 
-    return reps.select("rep", "embedding").mapInArrow(run, "rep long, filters array<int>")
+    return reps.select("rep", "embedding").mapInArrow(run, "rep long, filters array<long>")
 
 
 def unit_rows(vectors: list) -> np.ndarray:
@@ -120,7 +124,9 @@ def near_duplicates(
     named = vectors.select(F.col(id_col).alias("id"), F.col(vector_col).alias("embedding"), F.col(label_col).alias("label"))
     sound = named.where(usable("embedding") & F.col("label").isNotNull() & F.col("id").isNotNull()).distinct()
     reps = cut(sound.groupBy("label", "embedding").agg(F.min("id").alias("rep"), F.count("*").alias("many")))
-    listed_rows = cut(listed_filters(reps, listed, seed))
+    largest = reps.groupBy("label").count().agg(F.max("count")).first()[0] or 1
+    codewords = max(CODEWORDS, 1 << int(np.ceil(np.log2(FILTERS_A_VECTOR * largest) / 2)))
+    listed_rows = cut(listed_filters(reps, listed, seed, codewords))
 
     keyed = reps.select("rep", "label", F.size("embedding").alias("d")).join(listed_rows, "rep")
     places = keyed.select("rep", F.xxhash64("label", "d").alias("kind"), F.explode("filters").alias("filter"))
