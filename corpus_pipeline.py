@@ -37,8 +37,8 @@ def in_proportion(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pieces of documents with their sequence and offset."""
-    return packing.pack(docs)
+    """Pieces of documents with their sequence and offset; workers keep fewer units, as other stages share them."""
+    return packing.pack(docs, cache_units=600_000)
 
 
 STAGES = [

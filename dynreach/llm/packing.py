@@ -21,7 +21,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
 #: Entries that a worker keeps before it starts its table of units anew, and the longest kept.
-CACHE_UNITS, CACHE_CHARS, GROUP_CHARS = 1_200_000, 64, 8_000_000
+CACHE_UNITS, CACHE_CHARS, GROUP_CHARS = 1_500_000, 64, 8_000_000
 
 
 class Encoder:
@@ -31,10 +31,10 @@ class Encoder:
     cut there, each distinct unit is encoded once, and the units' ids are joined.
     """
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, cache_units: int = CACHE_UNITS):
         from tokenizers import Tokenizer
 
-        self.tokenizer = Tokenizer.from_file(path)
+        self.tokenizer, self.cache_units = Tokenizer.from_file(path), cache_units
         self.special = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
         self.boundary, self.irregular = re.compile(" (?=\\S)"), re.compile(" (?!\\S)")
         self.kept: dict[str, dict[str, bytes]] = {"": {}, " ": {}}
@@ -69,7 +69,7 @@ class Encoder:
         long = {}
         for lead, kept in self.kept.items():
             missing = new[lead].difference(kept)
-            if len(kept) + len(missing) > CACHE_UNITS:
+            if len(kept) + len(missing) > self.cache_units:
                 kept.clear()
                 missing = new[lead]
             long[lead] = [u for u in missing if len(u) > CACHE_CHARS]
@@ -131,6 +131,7 @@ def pack(
     end_id: int = 2,
     path: str | None = None,
     with_ids: bool = False,
+    cache_units: int = CACHE_UNITS,
 ) -> DataFrame:
     """One row per piece: id, piece, start, length, ids_crc32, sequence_id, offset [, ids as binary]."""
     if path is None:
@@ -142,7 +143,7 @@ def pack(
     id_type = docs.schema[id_col].dataType
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = _encoder(path)
+        encoder = _encoder(path, cache_units)
         bins, base = OpenBins(capacity, open_bins), TaskContext.get().partitionId() << 36
         for batch in batches:
             source, out = [], [[] for _ in names[1:]]
@@ -162,10 +163,10 @@ def pack(
     return docs.select(id_col, text_col).mapInArrow(run, schema)
 
 
-def _encoder(path: str, kept: dict = {}) -> Encoder:  # noqa: B006  one per worker
+def _encoder(path: str, cache_units: int = CACHE_UNITS, kept: dict = {}) -> Encoder:  # noqa: B006  one per worker
     if path not in kept:
         import os
 
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
-        kept[path] = Encoder(path)
+        kept[path] = Encoder(path, cache_units)
     return kept[path]

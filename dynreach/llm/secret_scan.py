@@ -205,12 +205,12 @@ def scan(docs: DataFrame, rules: tuple[Rule, ...] = BASE_RULES + MORE_RULES, tex
         if trigram_query(rule.pattern):
             test = F.coalesce(F.col("__rules"), F.lit(0)).bitwiseAND(F.lit(1 << k)) != 0
         else:
-            test = text.rlike(_at_least(rule))
+            test = text.rlike(at_least(rule))
         parts.append(F.when(test, spans(text, rule, k)).otherwise(none))
     return joined.withColumn("secret_spans", F.array_sort(F.concat(*parts))).drop("__key", "__text", "__rules")
 
 
-def _at_least(rule: Rule) -> str:
+def at_least(rule: Rule) -> str:
     """A quick test that a full scan makes before it looks for places."""
     if rule.group == 0 and rule.pattern.endswith("+") and rule.least > 1 and rule.pattern.startswith("["):
         return rule.pattern[:-1] + "{%d}" % rule.least
