@@ -31,8 +31,9 @@ from pyspark.sql import functions as F
 from dynreach.llm.common import Forest, components, cut, seeded
 
 WIDTH, PERCENT = 5, 85
-PERMUTATIONS, ROWS = 128, 8
-BANDS = 2 * PERMUTATIONS // ROWS
+PERMUTATIONS = 128
+#: A pair at the threshold shares no band with this probability at most.
+MISS = 1e-4
 BLOCK, PART, PACK = 512, 20_000, 512
 MOST_WORDS = 400_000
 _STEP, _MIX = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)
@@ -89,17 +90,24 @@ def signature(hashes: np.ndarray) -> np.ndarray:
     return np.concatenate([low, high])
 
 
-def band_keys(signatures: np.ndarray) -> np.ndarray:
+def band_rows(percent: int = PERCENT) -> int:
+    """Values a band: the most that keep a pair at the threshold from sharing no band but with probability MISS."""
+    return next((r for r in range(16, 1, -1) if (1 - (percent / 100) ** r) ** (2 * PERMUTATIONS // r) <= MISS), 1)
+
+
+def band_keys(signatures: np.ndarray, rows: int) -> np.ndarray:
     """A 64-bit key for each band of each row; the band is part of the key."""
-    parts = signatures.reshape(len(signatures), BANDS, ROWS).astype(np.uint64)
-    keys = np.broadcast_to(np.arange(1, BANDS + 1, dtype=np.uint64) * _MIX, parts.shape[:2])
-    for k in range(ROWS):
+    bands = 2 * PERMUTATIONS // rows
+    parts = signatures[:, : bands * rows].reshape(len(signatures), bands, rows).astype(np.uint64)
+    keys = np.broadcast_to(np.arange(1, bands + 1, dtype=np.uint64) * _MIX, parts.shape[:2])
+    for k in range(rows):
         keys = _mixed((keys ^ parts[:, :, k]) * _STEP)
     return keys.view(np.int64)
 
 
-def sketches(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = WIDTH) -> DataFrame:
+def sketches(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = WIDTH, percent: int = PERCENT) -> DataFrame:
     """(id, n_shingles, set_hash, bands) of every row; set_hash and bands are null for empty sets."""
+    band = band_rows(percent)
     kind = docs.schema[id_col].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -111,7 +119,7 @@ def sketches(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", wi
                 hashes.append(xxhash.xxh3_128_digest(s.tobytes()) if len(s) else None)
                 if len(s):
                     rows.append(signature(s))
-            keys = iter(band_keys(np.stack(rows))) if rows else iter(())
+            keys = iter(band_keys(np.stack(rows), band)) if rows else iter(())
             bands = [next(keys) if n else None for n in sizes]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sizes, pa.int64()), pa.array(hashes, pa.binary()), pa.array(bands, pa.list_(pa.int64()))], [id_col, "n_shingles", "set_hash", "bands"])
         _WORDS.clear()  # the worker goes on to other operators
@@ -221,14 +229,14 @@ def links(docs: DataFrame, sketched: DataFrame, id_col: str = "doc_id", text_col
 
 def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = WIDTH, percent: int = PERCENT, block: int = BLOCK, part: int = PART) -> DataFrame:
     """id, n_shingles, component_id (smallest id reachable by links), kept, for every row."""
-    sketched = cut(sketches(docs, id_col, text_col, width))
+    sketched = cut(sketches(docs, id_col, text_col, width, percent))
     found = components(links(docs, sketched, id_col, text_col, width, percent, block, part))
     joined = sketched.join(found, F.col(id_col) == F.col("node"), "left")
     component = F.coalesce("component", F.col(id_col))
     return joined.select(id_col, "n_shingles", component.alias("component_id"), component.eqNullSafe(F.col(id_col)).alias("kept"))
 
 
-def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = PERCENT) -> DataFrame:
     """The documents kept, with their columns as they are; equal rows of one id leave one row."""
-    gone = dedup(docs, id_col, text_col).where("not kept").select(id_col).distinct()
+    gone = dedup(docs, id_col, text_col, percent=percent).where("not kept").select(id_col).distinct()
     return docs.join(gone, id_col, "left_anti").select(*docs.columns)
