@@ -3,9 +3,12 @@
 A filter is a direction made of one random codeword for each of two blocks of the rotated
 coordinates; a vector passes if its product with the direction exceeds a threshold. Products with
 the blocks' codewords are computed once, and all passing pairs of codewords are listed from them.
-The threshold is set from random vectors so that a vector passes about `listed` filters of each of TABLES codes.
-The number of codewords grows with the root of the largest label's vectors, so a filter holds as many
-unlike vectors at any size.
+The threshold is set from random vectors so that a vector passes about `listed` filters of each code.
+The number of codewords grows with the root of a label's own vectors, so a filter holds as many unlike vectors at any
+size, and other labels change nothing. More codewords make a code miss more pairs, so codes are added until random pairs
+at the cosine asked for share no filter with probability MISS at most: the codes are rotated independently,
+so the shares they miss multiply, and each is measured on PAIRS such pairs and raised by three standard errors. Where
+that takes more than MOST_TABLES codes, all vectors of a label are in one filter.
 
 Vectors meet in the filters they share with equal labels: filters with one vector drop out before any vector is
 moved, large ones are cut into blocks and every pair of blocks is a task of its own. A pair counts in its
@@ -31,13 +34,14 @@ from pyspark.sql import functions as F
 from dynreach.llm.common import Forest, components, cut, seeded
 from dynreach.llm.vectors import rotation, usable
 
-CODEWORDS, TABLES, LISTED, SHORT = 256, 4, 16, 8
-#: Filters of a code for each vector of the largest label, so that unlike vectors rarely meet at any size.
+CODEWORDS, LISTED, SHORT = 256, 16, 8
+MISS, PAIRS, MOST_TABLES, PROBES = 1e-4, 2000, 24, 16
+#: Filters of a code for each vector of a label, so that unlike vectors rarely meet at any size.
 FILTERS_A_VECTOR = 64
 BLOCK, PACK = 512, 2048
 
 
-@lru_cache(maxsize=16)
+@lru_cache(maxsize=64)
 def code(d: int, table: int, listed: float, seed: int, codewords: int) -> tuple[np.ndarray, tuple[np.ndarray, np.ndarray], float]:
     """Rotation, codewords of both blocks, and the threshold."""
     turn = rotation(d, seed + table)
@@ -46,49 +50,104 @@ def code(d: int, table: int, listed: float, seed: int, codewords: int) -> tuple[
     for width in (d // 2, d - d // 2):
         w = rng.standard_normal((codewords, width))
         words.append(w / np.linalg.norm(w, axis=1, keepdims=True) / np.sqrt(2))
-    probe = rng.standard_normal((16, d))
+    probe = rng.standard_normal((PROBES, d))
     probe /= np.linalg.norm(probe, axis=1, keepdims=True)
-    sums = (probe[:, : d // 2] @ words[0].T)[:, :, None] + (probe[:, d // 2 :] @ words[1].T)[:, None, :]
-    return turn, tuple(words), float(np.quantile(sums, 1 - listed / codewords**2))
-
-
-def passed(vectors: np.ndarray, listed: float = LISTED, seed: int = 3, codewords: int = CODEWORDS) -> list[np.ndarray]:
-    """Sorted numbers of the filters that each unit vector passes, over all tables; its best one at least."""
-    n, d = vectors.shape
+    return turn, tuple(words), top_sum(probe[:, : d // 2] @ words[0].T, probe[:, d // 2 :] @ words[1].T, listed)
+
+
+def top_sum(first: np.ndarray, second: np.ndarray, listed: float) -> float:
+    """The value that `listed` of a row's sums first[r, i] + second[r, j] exceed, over all rows; only sums that can be among the top ones are made."""
+    n = len(first)
+    place = listed * (n - 1 / (first.shape[1] * second.shape[1]))  # from the top; between two sums as a rule
+    most = int(np.ceil(place)) + 1
+    a, b = -np.sort(-first, axis=1)[:, :most], -np.sort(-second, axis=1)[:, :most]
+    # the sum of the i-th and j-th largest has i * j sums at least as large, itself among them
+    sums = -np.sort(-np.concatenate([(a[:, i, None] + b[:, : most // (i + 1)]).ravel() for i in range(a.shape[1])]))
+    low = min(int(place), len(sums) - 1)
+    return float(sums[low] + (place - low) * (sums[min(low + 1, len(sums) - 1)] - sums[low]))
+
+
+def passed_in(vectors: np.ndarray, table: int, listed: float, seed: int, codewords: int) -> tuple[np.ndarray, np.ndarray]:
+    """(row, number) of each filter of one code that a unit vector passes; its best one at least."""
+    d = vectors.shape[1]
+    turn, (first, second), least = code(d, table, listed, seed, codewords)
+    x = vectors @ turn
+    a, b = x[:, : d // 2] @ first.T, x[:, d // 2 :] @ second.T
+    top = b.max(1)
+    r, i = np.nonzero(a + top[:, None] >= np.minimum(least, a.max(1) + top)[:, None])
+    k, j = np.nonzero(b[r] >= np.minimum(least - a[r, i], top[r])[:, None])
+    return r[k], table * codewords**2 + i[k] * codewords + j
+
+
+def missed(d: int, table: int, least: float, listed: float, seed: int, codewords: int, pairs: int = PAIRS) -> float:
+    """Share of random pairs at cosine `least` that share no filter of a code."""
+    rng = seeded(seed * 104_729 + table * 613 + d)
+    apart = 0
+    for k in range(0, pairs, 250):
+        x, y = rng.standard_normal((2, min(250, pairs - k), d))
+        x /= np.linalg.norm(x, axis=1, keepdims=True)
+        y -= (x * y).sum(1, keepdims=True) * x
+        y = least * x + np.sqrt(1 - least * least) * y / np.linalg.norm(y, axis=1, keepdims=True)
+        keys = [r * (MOST_TABLES * codewords**2) + f for r, f in (passed_in(v, table, listed, seed, codewords) for v in (x, y))]
+        apart += len(x) - len(np.unique(np.intersect1d(*keys) // (MOST_TABLES * codewords**2)))
+    return apart / pairs
+
+
+@lru_cache(maxsize=256)
+def tables_for(d: int, codewords: int, least: float, listed: float = LISTED, seed: int = 3) -> int:
+    """Codes needed to miss no more than MISS; 0 for a single filter of all vectors."""
     if d <= SHORT:
+        return 0
+    miss = 1.0
+    for table in range(MOST_TABLES):
+        m = missed(d, table, least, listed, seed, codewords)
+        miss *= min(1.0, max(m, 1 / PAIRS) + 3 * np.sqrt(max(m, 1 / PAIRS) * (1 - m) / PAIRS))
+        if miss <= MISS:
+            return table + 1
+        if miss ** (MOST_TABLES / (table + 1)) > 2 * MISS:
+            return 0
+    return 0
+
+
+def passed(vectors: np.ndarray, tables: int, listed: float = LISTED, seed: int = 3, codewords: int = CODEWORDS) -> list[np.ndarray]:
+    """Sorted numbers of the filters that each unit vector passes, over all tables."""
+    n = len(vectors)
+    if not tables:
         return [np.zeros(1, np.int64)] * n
-    rows, numbers = [], []
-    for table in range(TABLES):
-        turn, (first, second), least = code(d, table, listed, seed, codewords)
-        x = vectors @ turn
-        a, b = x[:, : d // 2] @ first.T, x[:, d // 2 :] @ second.T
-        top = b.max(1)
-        r, i = np.nonzero(a + top[:, None] >= np.minimum(least, a.max(1) + top)[:, None])
-        k, j = np.nonzero(b[r] >= np.minimum(least - a[r, i], top[r])[:, None])
-        rows.append(r[k])
-        numbers.append(table * codewords**2 + i[k] * codewords + j)
-    rows, numbers = np.concatenate(rows), np.concatenate(numbers)
+    rows, numbers = map(np.concatenate, zip(*(passed_in(vectors, t, listed, seed, codewords) for t in range(tables))))
     order = np.lexsort((numbers, rows))
     return np.split(numbers[order], np.cumsum(np.bincount(rows, minlength=n))[:-1])
 
 
-def listed_filters(reps: DataFrame, listed: float, seed: int, codewords: int) -> DataFrame:
+def sized(reps: DataFrame) -> DataFrame:
+    """reps with `d` and `codewords`, a power of two that grows with the vectors of equal label and length."""
+    reps = reps.withColumn("d", F.size("embedding"))
+    many = reps.groupBy("label", "d").count().where(F.col("count") * FILTERS_A_VECTOR > CODEWORDS**2)  # a row for a thousand vectors at most
+    many = many.select("label", "d", F.pow(F.lit(2.0), F.ceil(F.log2(F.col("count") * FILTERS_A_VECTOR) / 2)).cast("int").alias("codewords"))
+    return reps.join(F.broadcast(many), ["label", "d"], "left").withColumn("codewords", F.coalesce("codewords", F.lit(CODEWORDS)))
+
+
+def listed_filters(reps: DataFrame, least: float, listed: float, seed: int) -> DataFrame:
     """(rep, filters) of every row."""
+    rows = sized(reps).select("rep", "embedding", "d", "codewords")
+    tables = {(r.d, r.codewords): tables_for(r.d, r.codewords, least, listed, seed) for r in rows.select("d", "codewords").distinct().collect()}
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             vectors = [np.array(v, float) for v in batch.column(1).to_pylist()]
+            kinds = list(zip(batch.column(2).to_pylist(), batch.column(3).to_pylist()))
             out = [None] * len(vectors)
-            for d in {len(v) for v in vectors}:
-                at = [i for i, v in enumerate(vectors) if len(v) == d]
+            for kind in set(kinds):
+                at = [i for i, k in enumerate(kinds) if k == kind]
                 for k in range(0, len(at), 256):
                     part = np.stack([vectors[i] for i in at[k : k + 256]])
                     part /= np.abs(part).max(1, keepdims=True)
-                    for i, f in zip(at[k : k + 256], passed(part / np.linalg.norm(part, axis=1, keepdims=True), listed, seed, codewords)):
+                    part /= np.linalg.norm(part, axis=1, keepdims=True)
+                    for i, f in zip(at[k : k + 256], passed(part, tables[kind], listed, seed, kind[1])):
                         out[i] = f
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, pa.list_(pa.int64()))], ["rep", "filters"])
 
-    return reps.select("rep", "embedding").mapInArrow(run, "rep long, filters array<long>")
+    return rows.mapInArrow(run, "rep long, filters array<long>")
 
 
 def unit_rows(vectors: list) -> np.ndarray:
@@ -124,9 +183,7 @@ def near_duplicates(
     named = vectors.select(F.col(id_col).alias("id"), F.col(vector_col).alias("embedding"), F.col(label_col).alias("label"))
     sound = named.where(usable("embedding") & F.col("label").isNotNull() & F.col("id").isNotNull()).distinct()
     reps = cut(sound.groupBy("label", "embedding").agg(F.min("id").alias("rep"), F.count("*").alias("many")))
-    largest = reps.groupBy("label").count().agg(F.max("count")).first()[0] or 1
-    codewords = max(CODEWORDS, 1 << int(np.ceil(np.log2(FILTERS_A_VECTOR * largest) / 2)))
-    listed_rows = cut(listed_filters(reps, listed, seed, codewords))
+    listed_rows = cut(listed_filters(reps, least, listed, seed))
 
     keyed = reps.select("rep", "label", F.size("embedding").alias("d")).join(listed_rows, "rep")
     places = keyed.select("rep", F.xxhash64("label", "d").alias("kind"), F.explode("filters").alias("filter"))
