@@ -38,6 +38,7 @@ BLOCK, PART, PACK = 512, 20_000, 512
 MOST_WORDS = 400_000
 _STEP, _MIX = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)
 _LOWER = bytes(range(65)) + bytes(range(97, 123)) + bytes(range(91, 256))
+_WORD = r"[^\x09-\x0D\x20]"
 _ODD = seeded(97).integers(0, 1 << 31, PERMUTATIONS, dtype=np.uint64).astype(np.uint32) * np.uint32(2) + np.uint32(1)
 
 
@@ -237,6 +238,15 @@ def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = PERCENT) -> DataFrame:
-    """The documents kept, with their columns as they are; equal rows of one id leave one row."""
-    gone = dedup(docs, id_col, text_col, percent=percent).where("not kept").select(id_col).distinct()
-    return docs.join(gone, id_col, "left_anti").select(*docs.columns)
+    """The documents kept, with their columns as they are; rows with shingles whose id and text are equal leave one row."""
+    found = cut(dedup(docs, id_col, text_col, percent=percent))
+    gone = found.where("not kept").select(id_col).distinct()
+    repeated = found.where(F.col("kept") & (F.col("n_shingles") > 0) & F.col(id_col).isNotNull()).groupBy(id_col).count().where("count > 1").select(id_col)
+    left = docs.join(gone, id_col, "left_anti").select(*docs.columns)
+    if repeated.isEmpty():
+        return left
+    repeated = cut(repeated)
+    several, worded = left.join(repeated, id_col, "left_semi"), F.coalesce(F.col(text_col).rlike(_WORD), F.lit(False))
+    whole = F.struct(*[F.col(c) for c in docs.columns])
+    once = several.where(worded).groupBy(id_col, text_col).agg(F.min_by(whole, F.to_json(whole)).alias("row")).select("row.*")
+    return left.join(repeated, id_col, "left_anti").select(*docs.columns).union(once).union(several.where(~worded).select(*docs.columns))

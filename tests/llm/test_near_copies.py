@@ -55,3 +55,11 @@ def test_the_stage_on_given_documents(spark, sf_dir):
     rows = [(r.doc_id, r.text) for r in docs.collect()]
     got = [r.doc_id for r in P.one_of_each(spark, docs, sf_dir).collect()]
     assert set(got) == kept_at(rows, 80) != kept_at(rows, 85) and len(got) == len(set(got))
+
+
+def test_repeated_rows_leave_one(spark):
+    long = " ".join(f"w{i}" for i in range(50))
+    rows = [(1, long, "a"), (1, long, "a"), (1, long, "b"), (2, long + " x", "a"), (3, "other", "a"), (3, "text", "a"), (3, "text", "a"), (4, " \n", "a"), (4, " \n", "a"), (5, None, "a"), (5, None, "a"), (None, "one two", "a"), (None, "one two", "a")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string").repartition(3)
+    got = sorted(map(tuple, P.one_of_each(spark, docs, "").collect()), key=repr)
+    assert got == sorted([rows[0], *rows[4:6], *rows[7:]], key=repr)
