@@ -4,8 +4,10 @@ A source with token share p gets a weight in proportion to p ** exponent. The ex
 repeated section of [0, 1] (each job tries SECTIONS exponents at once over the sources' totals, and
 the bracket around the target shrinks) so that the weights' entropy reaches a target, or no
 source repeats more often than a limit. The normalised weights become token budgets: each source
-is drawn in whole blocks, every one a permutation of all its documents, and the last block is
-the part of a seeded permutation that fits what is left of the budget.
+is drawn in whole blocks of all its documents, and the last block is the part of a seeded
+permutation that fits what is left of the budget. Only membership and counts are realised: `draw` says how many
+blocks hold a row and whether the last one does; blocks have no order of their own, rows no place in
+them, and `mixed` leaves the copies of a row side by side.
 
 The part of the last block is found by running sums in two levels: a source's hash range is
 cut into buckets of about BUCKET_ROWS documents, their sums give each bucket its start, and
