@@ -27,29 +27,62 @@ def cut(df: DataFrame, *, eager: bool = True) -> DataFrame:
     return df.checkpoint(eager)
 
 
+def give_back() -> None:
+    """Hands memory that a worker has freed back to the machine, where the C library can; workers outlive their tasks."""
+    import ctypes
+
+    import pyarrow as pa
+
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:
+        trim(0)
+
+
 def id_residue(column: str, modulus: int):
     """crc32 of the id as text, modulo; null ids count as the empty text."""
     return F.crc32(F.coalesce(F.col(column).cast("string"), F.lit(""))) % modulus
 
 
+#: Keys with more than one in so many rows are joined by broadcast: there are fewer than that.
+HOT_SHARE = 2_000
+
+
+def spread_join(rows: DataFrame, classes: DataFrame, key: str, how: str = "inner", n: str = "n", total: int | None = None) -> DataFrame:
+    """rows joined with classes (one row a key) on key; the rows of a key that many share stay where they are.
+
+    n: rows of the key, as classes counts them. Keys with over 1 / HOT_SHARE of all, fewer than HOT_SHARE, are
+    broadcast; what is shuffled holds no more than that share of a key. rows and classes are read twice.
+    """
+    if total is None:
+        total = classes.agg(F.sum(n)).first()[0] or 0
+    if total <= HOT_SHARE:
+        return rows.join(classes, key, how)
+    hot = F.col(n) * HOT_SHARE > total
+    far = F.broadcast(classes.where(hot))  # fewer than HOT_SHARE rows
+    rest = rows.join(far.select(key), key, "left_anti").select(*rows.columns)
+    return rows.join(far, key).unionByName(rest.join(classes.where(~hot), key, how))
+
+
 def components(edges: DataFrame, a: str = "a", b: str = "b", max_rounds: int = 60) -> DataFrame:
     """Connected components of undirected edges as (node, component), component = smallest node.
 
     Alternating star contraction: every step hangs larger neighbours onto the smallest
     one and keeps connectivity, so any number of hubs or chain lengths is handled with
-    partial aggregates and joins alone. Nodes without edges don't appear.
+    partial aggregates and joins alone; neighbours of hubs are not brought together. Nodes without edges don't appear.
     """
     e = cut(
         edges.select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).where("u <> v").distinct()
     )
     before = None
     for _ in range(max_rounds):
+        total = 2 * (e.count() if before is None else before[0])
         both = e.union(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        low = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        large = both.where("v > u").join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v"))
+        low = both.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n")).select("u", F.least("u", "m").alias("m"), "n")
+        large = spread_join(both.where("v > u"), low, "u", total=total).select(F.col("v").alias("u"), F.col("m").alias("v"))
         large = large.where("u <> v").distinct()
-        low = large.groupBy("u").agg(F.min("v").alias("m"))
-        joined = large.join(low, "u")
+        low = large.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n"))
+        joined = spread_join(large, low, "u", total=total)
         small = (
             joined.select(F.col("v").alias("u"), F.col("m").alias("v"))
             .union(low.select("u", F.col("m").alias("v")))

@@ -28,7 +28,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from dynreach.llm.common import Forest, components, cut, seeded
+from dynreach.llm.common import Forest, components, cut, give_back, seeded, spread_join
 
 WIDTH, PERCENT = 5, 85
 PERMUTATIONS = 128
@@ -124,6 +124,7 @@ def sketches(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", wi
             bands = [next(keys) if n else None for n in sizes]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sizes, pa.int64()), pa.array(hashes, pa.binary()), pa.array(bands, pa.list_(pa.int64()))], [id_col, "n_shingles", "set_hash", "bands"])
         _WORDS.clear()  # the worker goes on to other operators
+        give_back()
 
     return docs.select(id_col, text_col).mapInArrow(run, f"`{id_col}` {kind}, n_shingles long, set_hash binary, bands array<long>")
 
@@ -182,8 +183,9 @@ def _products(sets: list[np.ndarray], most_cells: int = 40_000_000) -> np.ndarra
 def links(docs: DataFrame, sketched: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = WIDTH, percent: int = PERCENT, block: int = BLOCK, part: int = PART) -> DataFrame:
     """(a, b): links that connect all documents linked directly or through others."""
     full = sketched.where(F.col("set_hash").isNotNull() & F.col(id_col).isNotNull())
-    by_set = full.groupBy("set_hash").agg(F.min(id_col).alias("rep"), F.first("bands").alias("bands"))
-    copies = full.join(by_set.select("set_hash", "rep"), "set_hash").where(F.col(id_col) != F.col("rep")).select(F.col(id_col).alias("a"), F.col("rep").alias("b"))
+    by_set = full.groupBy("set_hash").agg(F.min(id_col).alias("rep"), F.first("bands").alias("bands"), F.count("*").alias("n"))
+    several = cut(by_set.where("n > 1").select("set_hash", "rep", "n"))
+    copies = spread_join(full.select(id_col, "set_hash"), several, "set_hash").where(F.col(id_col) != F.col("rep")).select(F.col(id_col).alias("a"), F.col("rep").alias("b"))
 
     exploded = by_set.select("rep", F.explode("bands").alias("key"))
     buckets = exploded.groupBy("key").agg(F.count("*").alias("n"), F.min("rep").alias("pivot")).where("n > 1").select("key", "pivot")
@@ -191,10 +193,10 @@ def links(docs: DataFrame, sketched: DataFrame, id_col: str = "doc_id", text_col
     loose = components(pointers)
     sizes = loose.groupBy("component").agg(F.count("*").alias("part_size"))
     members = cut(loose.join(sizes, "component").join(by_set.select("rep", "bands"), F.col("node") == F.col("rep")).select("rep", "bands", "component", "part_size"))
-    whole = members.where(F.col("part_size") <= part).select("rep", "bands", F.col("component").alias("unit"), F.col("part_size").alias("unit_size"), F.lit(None).cast("long").alias("bucket"))
+    whole = members.where(F.col("part_size") <= part).select("rep", "bands", F.col("component").alias("unit"), F.col("part_size").alias("unit_size"), F.lit(False).alias("by_bucket"))
     vast = members.where(F.col("part_size") > part).select("rep", "bands", F.explode("bands").alias("bucket"))
     vast_sizes = vast.groupBy("bucket").agg(F.count("*").alias("unit_size")).where("unit_size > 1")
-    vast = vast.join(vast_sizes, "bucket").select("rep", "bands", F.col("bucket").alias("unit"), "unit_size", "bucket")
+    vast = vast.join(vast_sizes, "bucket").select("rep", "bands", F.col("bucket").alias("unit"), "unit_size", F.lit(True).alias("by_bucket"))
     units = whole.unionByName(vast)
 
     blocks = F.ceil(F.col("unit_size") / block).cast("int")
@@ -204,24 +206,24 @@ def links(docs: DataFrame, sketched: DataFrame, id_col: str = "doc_id", text_col
         units.withColumns({"blocks": blocks, "own": own})
         .withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
         .withColumns({"i": F.least("own", "other"), "j": F.greatest("own", "other")})
-        .withColumn("task", F.when(F.col("blocks") == 1, F.pmod(F.xxhash64("unit"), F.lit(packs))).otherwise(F.xxhash64("unit", "i", "j")))
-        .select("rep", "bands", "unit", "bucket", "own", "i", "j", "task")
+        .withColumn("task", F.when(F.col("blocks") == 1, F.pmod(F.xxhash64("unit"), F.lit(packs))).otherwise(F.xxhash64("by_bucket", "unit", "i", "j")))
+        .select("rep", "bands", "unit", "by_bucket", "own", "i", "j", "task")
     )
     shipped = docs.select(F.col(id_col).alias("rep"), F.col(text_col).alias("text")).join(dealt, "rep")
 
     def check(rows: pd.DataFrame) -> pd.DataFrame:
         found = []
-        for (_, i, j), group in rows.groupby(["unit", "i", "j"], sort=False):
+        for (by_bucket, unit, i, j), group in rows.groupby(["by_bucket", "unit", "i", "j"], sort=False):
             group = group.drop_duplicates("rep")
             if len(group) < 2:
                 continue
             ids = group["rep"].tolist()
             sets = [shingles(t, width) for t in group["text"]]
-            bucket = group["bucket"].iloc[0]
             own = group["own"].to_numpy() if i != j else None
-            for x, y in verified_links(sets, np.stack(group["bands"].tolist()), own, None if pd.isna(bucket) else int(bucket), percent):
+            for x, y in verified_links(sets, np.stack(group["bands"].tolist()), own, int(unit) if by_bucket else None, percent):
                 found.append((ids[x], ids[y]))
         _WORDS.clear()
+        give_back()
         return pd.DataFrame(found, columns=["a", "b"]).astype("int64")
 
     near = shipped.groupBy("task").applyInPandas(check, "a long, b long")

@@ -4,7 +4,7 @@ from collections import Counter
 
 import numpy as np
 
-from dynreach.llm import minmax_dedup as M
+from dynreach.llm import common, minmax_dedup as M
 
 from tests.llm.test_tokens_secrets_shards import ODD, odd  # noqa: F401
 
@@ -16,7 +16,7 @@ def plain_set(text):
     return {tuple(words[i : i + 5]) for i in range(len(words) - 4)}
 
 
-def brute(rows):
+def brute(rows, percent=85):
     sets = {d: plain_set(t) for d, t in rows if d is not None}
     ids, parent = sorted(sets), {d: d for d in sets}
 
@@ -28,7 +28,7 @@ def brute(rows):
     for k, a in enumerate(ids):
         for b in ids[k + 1 :]:
             both = len(sets[a] & sets[b])
-            if both and 100 * both >= 85 * len(sets[a] | sets[b]):
+            if both and 100 * both >= percent * len(sets[a] | sets[b]):
                 x, y = find(a), find(b)
                 parent[max(x, y)] = min(x, y)
     return {d: (len(sets[d]), find(d)) for d in ids}
@@ -64,6 +64,35 @@ def test_all_ways_match_brute_force(spark):
         assert all(r.kept == (r.doc_id == r.component_id) for r in got)
 
 
+def families(large, small, seed=2):
+    """One family of `large` near copies and many of three, with ids that floats can't hold."""
+    rng = random.Random(seed)
+    rows = []
+    for n in [large] + [3] * small:
+        text = [f"w{rng.randrange(10**6)}" for _ in range(300)]
+        for _ in range(n):
+            copy = list(text)
+            copy[rng.randrange(300)] = f"w{rng.randrange(10**6)}"
+            rows.append((2**62 + 2 * len(rows) + 1, " ".join(copy)))
+    return rows
+
+
+def test_a_vast_part_beside_small_ones(spark):
+    rows = families(60, 60)
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    want = brute(rows)
+    assert len({c for _, c in want.values()}) == 61
+    for block, part in ((512, 20), (7, 20), (512, 20_000)):
+        assert answers(M.dedup(docs, block=block, part=part)) == want
+
+
+def test_hot_copies_and_hubs(spark, monkeypatch):
+    monkeypatch.setattr(common, "HOT_SHARE", 5)
+    rows = [(i, "the very same words in every one of these rows") for i in range(50)] + made()[:60]
+    rows = [(2**61 + i, t) for i, (_, t) in enumerate(rows)]
+    assert answers(M.dedup(spark.createDataFrame(rows, "doc_id long, text string"))) == brute(rows)
+
+
 def test_given_documents(spark, sf_dir):
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     assert answers(M.dedup(docs)) == brute([(r.doc_id, r.text) for r in docs.collect()])
