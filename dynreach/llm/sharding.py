@@ -16,14 +16,16 @@ from __future__ import annotations
 import zlib
 
 import numpy as np
-import pandas as pd
-from pyspark.sql import DataFrame
+import pyarrow as pa
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql.types import LongType, StructField, StructType
 
 from dynreach.llm.common import cut, seeded
 
 LAWS = ("rows", "bytes", "key")
+#: Buckets summed together, and bucket rows up to which their starts are broadcast (24 bytes or so each).
+STRETCH, MOST_BROADCAST = 4_096, 100_000
 
 
 def fisher_yates(n: int, seed: int, bucket: int) -> np.ndarray:
@@ -47,7 +49,7 @@ def jump_shard(key: int, shards: int) -> int:
 
 
 def key_of(doc_id: object, seed: int) -> int:
-    text = "" if pd.isna(doc_id) else str(int(doc_id) if isinstance(doc_id, float) else doc_id)
+    text = "" if doc_id is None else str(doc_id)
     low, high = zlib.crc32(text.encode(), seed), zlib.crc32(text.encode() + b"#", seed ^ 0x5BD1E995)
     return (high << 32) | low
 
@@ -76,52 +78,55 @@ def shuffled(
     new = ["size", "text_crc32", "bucket", "rank", "cum", "own", "own_rank", "grown"]
     schema = StructType([docs.schema[id_col], *(StructField(c, LongType()) for c in new), *(StructField(k, docs.schema[c].dataType) for k, c in zip(kept, keep))])
 
-    def second_pass(group: pd.DataFrame) -> pd.DataFrame:
-        group = group.sort_values("__hash", kind="stable", ignore_index=True)
-        n, bucket = len(group), int(group["__bucket"].iloc[0])
-        group = group.take(fisher_yates(n, seed, bucket)).reset_index(drop=True)
-        raw = [t.encode() for t in group["__text"]]
+    def second_pass(group: pa.Table) -> pa.Table:
+        n, bucket = group.num_rows, group["__bucket"][0].as_py()
+        order = np.argsort(group["__hash"].to_numpy(), kind="stable")[fisher_yates(n, seed, bucket)]
+        group = group.take(pa.array(order))
+        raw = [t.encode() for t in group["__text"].to_pylist()]
         size = np.fromiter((len(r) + 1 for r in raw), np.int64, n)
-        out = pd.DataFrame({id_col: group[id_col], "size": size, "text_crc32": [zlib.crc32(r) for r in raw], "bucket": bucket, "rank": np.arange(n), "cum": np.cumsum(size) - size})
+        own = own_rank = grown = np.zeros(n, np.int64)
         if law == "key":
-            keys = [key_of(x, seed) for x in group[id_col]]
-            out["own"] = [jump_shard(k, shards) for k in keys]
-            out["grown"] = [jump_shard(k, shards + 1) for k in keys]
-            out["own_rank"] = out.groupby("own").cumcount()
-        else:
-            out["own"], out["own_rank"], out["grown"] = 0, 0, 0
-        for k in kept:
-            out[k] = group[k]
-        return out[[f.name for f in schema.fields]]
-
-    done = rows.groupBy("__bucket").applyInPandas(second_pass, schema)
+            keys = [key_of(x, seed) for x in group[id_col].to_pylist()]
+            own, grown = (np.array([jump_shard(k, s) for k in keys], np.int64) for s in (shards, shards + 1))
+            own_rank = np.zeros(n, np.int64)
+            for s in np.unique(own):
+                own_rank[own == s] = np.arange((own == s).sum())
+        columns = [size, np.fromiter(map(zlib.crc32, raw), np.int64, n), np.full(n, bucket), np.arange(n), np.cumsum(size) - size, own, own_rank, grown]
+        return pa.table([group[id_col], *(pa.array(c, pa.int64()) for c in columns), *(group[k] for k in kept)], [id_col, *new, *kept])
+
+    done = rows.groupBy("__bucket").applyInArrow(second_pass, schema)
     for k, c in zip(kept, keep):
         done = done.withColumnRenamed(k, c)
     return done
 
 
+def starts(done: DataFrame) -> DataFrame:
+    """(bucket, own, before, bytes_before, total): running sums in two levels, so that no window holds more than STRETCH
+    buckets or a row for so many of them."""
+    per = cut(done.groupBy("bucket", "own").agg(F.count("*").alias("n"), F.sum("size").alias("bytes")).withColumn("stretch", F.floor(F.col("bucket") / STRETCH)))
+    upto = lambda c, w: F.coalesce(F.sum(c).over(w.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    coarse, fine = Window.partitionBy("own").orderBy("stretch"), Window.partitionBy("own", "stretch").orderBy("bucket")
+    sums = per.groupBy("own", "stretch").agg(F.sum("n").alias("n"), F.sum("bytes").alias("bytes"))
+    ahead = sums.select("own", "stretch", upto("n", coarse).alias("n0"), upto("bytes", coarse).alias("b0"))
+    inside = per.select("own", "stretch", "bucket", upto("n", fine).alias("n1"), upto("bytes", fine).alias("b1"))
+    total = per.agg(F.sum("bytes").alias("total"))  # one row
+    out = inside.join(ahead, ["own", "stretch"]).join(F.broadcast(total)).select("bucket", "own", (F.col("n0") + F.col("n1")).alias("before"), (F.col("b0") + F.col("b1")).alias("bytes_before"), "total")
+    return F.broadcast(out) if per.count() <= MOST_BROADCAST else out
+
+
 def place(done: DataFrame, shards: int, law: str) -> DataFrame:
-    """Adds law, shard, slot, grown_shard. `done` is read twice: written or checkpointed rows."""
-    from pyspark.sql import Window
-
-    per = done.groupBy("bucket", "own").agg(F.count("*").alias("n"), F.sum("size").alias("bytes"))
-    w = Window.orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
-    if law == "key":  # a row per bucket and shard: as few as the buckets are
-        before = per.withColumn("before", F.coalesce(F.sum("n").over(w.partitionBy("own")), F.lit(0)))
-        placed = done.join(F.broadcast(before.select("bucket", "own", "before")), ["bucket", "own"])
+    """Adds law, shard, slot, grown_shard. `done` is read several times: written or checkpointed rows."""
+    placed = done.join(starts(done), ["bucket", "own"])
+    if law == "key":
         shard, slot = F.col("own"), F.col("before") + F.col("own_rank")
     else:
-        total = F.sum("bytes").over(Window.partitionBy())
-        before = per.select(
-            "bucket", F.coalesce(F.sum("n").over(w), F.lit(0)).alias("before"), F.coalesce(F.sum("bytes").over(w), F.lit(0)).alias("bytes_before"), total.alias("total")
-        )
-        placed = done.join(F.broadcast(before), "bucket").withColumn("position", F.col("before") + F.col("rank"))
+        placed = placed.withColumn("position", F.col("before") + F.col("rank"))
         if law == "rows":
             shard, slot = F.col("position") % shards, F.floor(F.col("position") / shards)
         else:
             share = F.floor((F.col("bytes_before") + F.col("cum")).cast("decimal(38,0)") * shards / F.col("total"))
             placed = placed.withColumn("share", F.least(share, F.lit(shards - 1)).cast("long"))
-            first = placed.groupBy("share").agg(F.min("position").alias("first"))
+            first = placed.groupBy("share").agg(F.min("position").alias("first"))  # a row a shard
             placed = placed.join(F.broadcast(first), "share")
             shard, slot = F.col("share"), F.col("position") - F.col("first")
     grown = F.col("grown").cast("int") if law == "key" else F.lit(None).cast("int")
