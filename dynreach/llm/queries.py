@@ -37,8 +37,8 @@ def op6_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op7_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "source", "text")
-    drawn = mixing.draw(docs.select("doc_id", "source", mixing.tokens().alias("n_tokens")), repeat_limit=2.0, token_count=F.col("n_tokens"))
-    return drawn.select("doc_id", "source", "n_tokens", "mix_exponent", "mix_weight", "mix_blocks", "mix_last", "mix_copies")
+    drawn = mixing.permuted(docs.select("doc_id", "source", mixing.tokens().alias("n_tokens")), repeat_limit=2.0, token_count=F.col("n_tokens"))
+    return drawn.select("doc_id", "source", "n_tokens", "mix_exponent", "mix_weight", "mix_blocks", "mix_last", "mix_copies", "mix_block", "mix_place")
 
 
 def op8_minmax_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
