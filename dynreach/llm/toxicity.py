@@ -8,7 +8,7 @@ with weights that restore the labels' shares.
 
 The sample is bounded by SAMPLE_PER_LABEL rows of each label, drawn by a hash of the id. Defined
 cases: null or empty texts get the score of their (zero) features; labels that are null are not
-learnt from; without both labels every score is the share of label 1 (0 if there is none); an id with several labels counts with
+learnt from; without both labels every score is the share of label 1 (0 if there is none), and if two thirds of the sample lack a label all of it is fitted; an id with several labels counts with
 each; equal rows get equal scores; extra columns are ignored.
 """
 
@@ -218,7 +218,7 @@ def learn_lexicon(sample: DataFrame) -> Lexicon:
     terms = sample.select("toxic", F.explode(F.array_distinct(F.concat(F.filter(words, lambda w: F.length(w) > 1), *stems))).alias("term"))
     totals = {r[0]: r[1] for r in sample.groupBy("toxic").count().collect()}
     counted = terms.groupBy("term").agg(F.sum(F.col("toxic")).alias("bad"), F.sum(1 - F.col("toxic")).alias("good"))
-    lift = ((F.col("bad") + 0.5) / (totals[1] + 1)) / ((F.col("good") + 0.5) / (totals[0] + 1))
+    lift = ((F.col("bad") + 0.5) / (totals.get(1, 0) + 1)) / ((F.col("good") + 0.5) / (totals.get(0, 0) + 1))
     top = counted.where(F.col("bad") >= LEAST_TEXTS).withColumn("lift", F.log2(lift)).where(F.col("lift") >= np.log2(LEAST_LIFT))
     return Lexicon({r.term: float(r.lift) for r in top.orderBy(F.desc(F.col("lift") * F.log2("bad")), "term").limit(MOST_TERMS).collect()})
 
@@ -234,10 +234,11 @@ def learn(docs: DataFrame, labels: DataFrame, per_label: int = SAMPLE_PER_LABEL,
     drawn = labels.where(F.pmod(F.xxhash64(F.lit(seed), "doc_id"), F.lit(1_000_003)) / 1_000_003 < chance)
     sample = cut(docs.select("doc_id", "text").where(F.col("doc_id").isNotNull()).join(F.broadcast(drawn), "doc_id"))  # bounded by per_label
     part = F.pmod(F.xxhash64(F.lit(seed + 1), "doc_id"), F.lit(3))
-    present = {r[0] for r in sample.select("toxic").distinct().collect()}
-    if len(present) < 2:
+    present = {tuple(r) for r in sample.select("toxic", part == 0).distinct().collect()}  # four rows at most
+    if len({label for label, _ in present}) < 2:
         return Model(share)
-    lexicon = learn_lexicon(sample.where(part != 0))
+    both = len({label for label, third in present if not third}) == 2  # else there is nothing to hold out
+    lexicon = learn_lexicon(sample.where(part != 0) if both else sample)
 
     def extract(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:

@@ -70,6 +70,17 @@ def test_toxicity_odd_rows(spark, odd):  # noqa: F811
     assert toxicity.assess(odd.limit(0), labels).count() == 0
 
 
+@pytest.mark.parametrize("bad", [{3}, {3, 5}, set(range(40))])
+def test_few_labels(spark, bad):
+    """Wherever the few toxic labels fall, in the third that calibrates or not."""
+    texts = [(i, f"you {'vile' if i in bad else 'kind'} word{i} text") for i in range(40)]
+    for shift in range(0, 30, 10):
+        docs = spark.createDataFrame([(i + shift * 40, t) for i, t in texts], "doc_id long, text string")
+        labels = spark.createDataFrame([(i + shift * 40, int(i in bad)) for i, _ in texts], "doc_id long, toxic int")
+        got = toxicity.assess(docs, labels).collect()
+        assert len(got) == 40 and all(0 <= r.score <= 1 for r in got)
+
+
 def test_isotonic_is_the_best_monotone_fit():
     rng = np.random.default_rng(1)
     raw, w = rng.integers(0, 6, 40).astype(float), np.ones(40)
@@ -134,6 +145,49 @@ def test_mixing_matches_brute_force(spark, cover):
         assert Counter(r.doc_id for r in mixing.mixed(frame, repeat_limit=3.0).collect()).keys() == {r[0] for r in rows}
 
 
+def test_permutations(spark, monkeypatch):
+    rng = random.Random(6)
+    rows = [(i, rng.choice("aaaaaaaabbbccd"), "x" * rng.randint(1, 400)) for i in range(1500)] + [(9000, None, "x" * 40), (9001, "e", None)] + [(None, "a", "same")] * 40
+    frame = spark.createDataFrame(rows, "doc_id long, source string, text string")
+    monkeypatch.setattr(mixing, "BUCKET_ROWS", 50)
+    counts = Counter((r.doc_id, r.source, r.mix_copies) for r in mixing.draw(frame, repeat_limit=3.0).collect())
+    got = mixing.permuted(frame, repeat_limit=3.0).collect()
+    copies = Counter()
+    for (d, s, n), times in counts.items():
+        copies[(d, s)] += n * times
+    assert Counter((r.doc_id, r.source) for r in got if r.mix_block is not None) == +copies
+    assert sum(r.mix_block is None for r in got) == sum(times for (_, _, n), times in counts.items() if n == 0)
+    blocks = {}
+    for r in got:
+        if r.mix_block is not None:
+            blocks.setdefault((r.source, r.mix_block), []).append((r.mix_place, r.doc_id))
+    sizes = Counter(s for _, s, _ in rows)
+    for (source, block), members in blocks.items():
+        assert sorted(p for p, _ in members) == list(range(len(members)))
+        whole = {r.mix_blocks for r in got if r.source == source}.pop()
+        assert block <= whole and (block == whole or len(members) == sizes[source])
+    orders = [[d for _, d in sorted(blocks[(s, b)], key=lambda x: x[0])] for s, b in blocks if s == "c"]
+    assert len(orders) >= 2 and all(x != y and x != sorted(x, key=str) for x in orders[:-1] for y in orders if x is not y)
+    again = mixing.permuted(frame.repartition(1), repeat_limit=3.0).where("doc_id is not null").collect()
+    assert Counter((r.doc_id, r.mix_block) for r in again) == Counter((r.doc_id, r.mix_block) for r in got if r.doc_id is not None)
+
+
+def test_mixed_rows_come_in_order(spark):
+    rows = [(i, "a" if i < 900 else "b", "x" * 40) for i in range(1000)]
+    frame = spark.createDataFrame(rows, "doc_id long, source string, text string")
+    got = [r.source for r in mixing.mixed(frame, repeat_limit=2.0).collect()]
+    shares = [got[k : k + 100].count("b") for k in range(0, len(got) - 99, 100)]
+    assert got.count("a") == 900 and max(shares) - min(shares) <= 12 and min(shares) > 5
+    assert [r.doc_id for r in mixing.mixed(frame, chunk_tokens=500).collect()] != sorted(range(len(got)))
+
+
+def test_mixing_clashing_names(spark):
+    frame = spark.createDataFrame([(1, "a", "t", 7, "s", 2), (2, "b", "t", 8, "s", 3)], "doc_id long, source string, text string, mix_x int, __source string, mix_copies int")
+    assert [tuple(r) for r in mixing.mixed(frame).orderBy("doc_id").collect()] == [tuple(r) for r in frame.collect()]
+    assert mixing.draw(frame).columns == ["doc_id", "source", "text", "mix_x", "__source", *mixing.DRAWN]
+    assert mixing.permuted(frame).select("mix_x", "mix_copies", "mix_place").count() == 2
+
+
 def test_entropy_target(spark):
     rows = [(i, "a" if i < 900 else "b" if i < 990 else "c", "xxxx") for i in range(1000)]
     got = mixing.draw(spark.createDataFrame(rows, "doc_id long, source string, text string"), target_entropy=0.8, repeat_limit=None).collect()
