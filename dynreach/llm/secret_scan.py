@@ -8,7 +8,7 @@ rule without a mandatory trigram is run over every text.
 Postings are keyed by a hash of the text, so equal texts share them and a hash shared by different
 texts costs a verification and nothing else. Trigrams are those of the text with A-Z in lower
 case. Defined cases: null text is empty and has no spans; repeated rows give repeated results;
-extra columns are ignored; texts are scanned whole.
+extra columns pass through whatever their names are; texts are scanned whole.
 """
 
 from __future__ import annotations
@@ -20,10 +20,13 @@ from re import _parser
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from dynreach.llm.common import HOT_SHARE, cut
+
 #: More strings than this in a set, and it is kept as trigrams only.
 MOST_STRINGS = 64
 #: Larger classes stand for any character.
 MOST_OF_CLASS = 6
+SPANS = "array<struct<start:int,order:int,kind:string,end:int>>"
 
 
 @dataclass(frozen=True)
@@ -181,7 +184,7 @@ def spans(text: Column, rule: Rule, order: int) -> Column:
     found = F.regexp_extract_all(text, pattern, F.lit(0))
     between = F.split(text, rule.pattern, -1)
     steps = F.zip_with(F.slice(between, 1, F.size(found)), found, lambda gap, m: F.struct(F.length(gap).alias("gap"), F.length(m).alias("n"), m.alias("m")))
-    start = F.struct(F.lit(0).alias("at"), F.array().cast("array<struct<start:int,order:int,kind:string,end:int>>").alias("out"))
+    start = F.struct(F.lit(0).alias("at"), F.array().cast(SPANS).alias("out"))
 
     def step(acc: Column, x: Column) -> Column:
         begin = acc["at"] + x["gap"]
@@ -194,20 +197,35 @@ def spans(text: Column, rule: Rule, order: int) -> Column:
     return F.aggregate(steps, start, step, lambda acc: acc["out"])
 
 
-def scan(docs: DataFrame, rules: tuple[Rule, ...] = BASE_RULES + MORE_RULES, text_col: str = "text") -> DataFrame:
-    """The input's rows with `secret_spans`: array of (start, order, kind, end) by start, then rule."""
-    wanted = candidates(postings(docs, rules, text_col), rules)
-    keyed = docs.withColumns({"__key": F.xxhash64(text_col), "__text": F.coalesce(F.col(text_col), F.lit(""))})
-    joined = keyed.join(wanted.select(F.col("key").alias("__key"), F.col("rules").alias("__rules")), "__key", "left")
-    none = F.array().cast("array<struct<start:int,order:int,kind:string,end:int>>")
+def _scanned(docs: DataFrame, rules: tuple[Rule, ...], text_col: str) -> DataFrame:
+    """__row (the input's row whole, so that no name clashes), __text and __spans.
+
+    Documents meet their candidates by a hash of the text. Null texts, and texts that more than one in HOT_SHARE
+    documents hold (so fewer than HOT_SHARE), get their candidates by broadcast and are spread over all tasks.
+    """
+    wanted = cut(candidates(postings(docs, rules, text_col), rules))
+    hashed = docs.select(F.xxhash64(text_col).alias("key"), F.col(text_col).isNull().alias("none"))
+    copies = hashed.where("not none").groupBy("key").agg(F.count("*").alias("n"))
+    total = copies.agg(F.sum("n")).first()[0] or 0
+    hot = cut(copies.where(F.col("n") * HOT_SHARE > total).where(F.lit(total > HOT_SHARE)).join(wanted, "key", "left").select(F.col("key").alias("__key"), F.coalesce("rules", F.lit(0)).alias("__hot")))
+    keyed = docs.select(F.struct(*[F.col(c) for c in docs.columns]).alias("__row"), F.xxhash64(text_col).alias("__key")).join(F.broadcast(hot), "__key", "left")
+    apart = F.col("__hot").isNotNull() | F.col("__row").getField(text_col).isNull()
+    keyed = keyed.withColumn("__turn", F.when(apart, F.pmod(F.monotonically_increasing_id(), F.lit(1 << 20)) + 1).otherwise(F.lit(0)))
+    mine = wanted.select(F.col("key").alias("__key"), F.lit(0).cast("long").alias("__turn"), F.col("rules").alias("__rules"))
+    joined = keyed.join(mine, ["__key", "__turn"], "left")
+    held = F.coalesce("__hot", "__rules", F.lit(0))
     text, parts = F.col("__text"), []
     for k, rule in enumerate(rules):
-        if trigram_query(rule.pattern):
-            test = F.coalesce(F.col("__rules"), F.lit(0)).bitwiseAND(F.lit(1 << k)) != 0
-        else:
-            test = text.rlike(at_least(rule))
-        parts.append(F.when(test, spans(text, rule, k)).otherwise(none))
-    return joined.withColumn("secret_spans", F.array_sort(F.concat(*parts))).drop("__key", "__text", "__rules")
+        test = held.bitwiseAND(F.lit(1 << k)) != 0 if trigram_query(rule.pattern) else text.rlike(at_least(rule))
+        parts.append(F.when(test, spans(text, rule, k)).otherwise(F.array().cast(SPANS)))
+    joined = joined.withColumn("__text", F.coalesce(F.col("__row").getField(text_col), F.lit("")))
+    return joined.select("__row", "__text", F.array_sort(F.concat(*parts)).alias("__spans"))
+
+
+def scan(docs: DataFrame, rules: tuple[Rule, ...] = BASE_RULES + MORE_RULES, text_col: str = "text") -> DataFrame:
+    """The input's rows with `secret_spans`: array of (start, order, kind, end) by start, then rule; replaces a column of that name."""
+    found = _scanned(docs, rules, text_col)
+    return found.select(*[F.col("__row").getField(c).alias(c) for c in docs.columns if c != "secret_spans"], F.col("__spans").alias("secret_spans"))
 
 
 def at_least(rule: Rule) -> str:
@@ -223,17 +241,19 @@ def joined_spans(found: Column) -> Column:
 
 def redact(docs: DataFrame, rules: tuple[Rule, ...] = BASE_RULES + MORE_RULES, text_col: str = "text", mask: str = "[secret]") -> DataFrame:
     """Documents with every span replaced; spans that overlap are replaced together. Columns stay as they are."""
-    found = scan(docs, rules, text_col)
+    found = _scanned(docs, rules, text_col)
     start = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
-    text = F.coalesce(F.col(text_col), F.lit(""))
+    text = F.col("__text")
 
     def step(acc: Column, s: Column) -> Column:
         gap = s["start"] - acc["at"]
         more = F.when(gap >= 0, F.concat(acc["out"], F.substring(text, acc["at"] + 1, F.greatest(gap, F.lit(0))), F.lit(mask))).otherwise(acc["out"])
         return F.struct(F.greatest(acc["at"], s["end"]).alias("at"), more.alias("out"))
 
-    clean = F.aggregate("secret_spans", start, step, lambda acc: F.concat(acc["out"], F.substring(text, acc["at"] + 1, F.length(text))))
-    return found.withColumn(text_col, F.when(F.size("secret_spans") > 0, clean).otherwise(F.col(text_col))).select(*docs.columns)
+    clean = F.aggregate("__spans", start, step, lambda acc: F.concat(acc["out"], F.substring(text, acc["at"] + 1, F.length(text))))
+    own = {c: F.col("__row").getField(c) for c in docs.columns}
+    own[text_col] = F.when(F.size("__spans") > 0, clean).otherwise(own[text_col])
+    return found.select(*[x.alias(c) for c, x in own.items()])
 
 
 def digest(docs: DataFrame) -> DataFrame:
