@@ -11,7 +11,10 @@ class EngineConf:
 
     k: intervals per component. slack: label width per input node. rebuild_ratio: a batch of more than
     this share of the edges rebuilds the index. max_rounds: loops raise beyond it, they never stop short.
-    relabel_drift: mean end of labels over the number of nodes, beyond which labels are drawn anew.
+    split: how components that lose inner edges are decomposed: naive reads them whole, extract only what leaves and its
+    surroundings, auto is naive while they fit a task. forest_depth: steps beyond which the forest is compressed.
+    broadcast_rows: counted rows up to which operations are broadcast. relabel_drift: largest end of labels over the number
+    of nodes, beyond which a batch draws the labels anew.
     """
 
     k: int = 1
@@ -20,6 +23,9 @@ class EngineConf:
     local_rows: int = 2_000_000
     rebuild_ratio: float = 0.2
     checkpoint_every: int = 4
+    split: str = "auto"
+    forest_depth: int = 4
+    broadcast_rows: int = 100_000
     max_rounds: int = 10_000
     relabel_drift: float = 8.0
 

@@ -15,14 +15,10 @@ def label_covers(outer: Column, inner: Column) -> Column:
     return F.forall(F.zip_with(outer, inner, lambda o, i: (o["b"] <= i["b"]) & (i["e"] < o["e"])), lambda x: x)
 
 
-def label_hull(ivs: Column) -> Column:
-    """Aggregate: the least label around a group's labels, dimension by dimension (ends as they are)."""
-    all_ = F.collect_list(ivs)
-    return F.aggregate(
-        F.slice(all_, 2, F.greatest(F.size(all_) - 1, F.lit(0))),
-        F.element_at(all_, 1),
-        lambda acc, x: F.zip_with(acc, x, lambda a, b: F.struct(F.least(a["b"], b["b"]).alias("b"), F.greatest(a["e"], b["e"]).alias("e"))),
-    )
+def label_hull(ivs: Column, k: int) -> Column:
+    """Aggregate: the least label around a group's labels of k dimensions (ends as they are); combined before the shuffle."""
+    one = lambda d: F.struct(F.min(ivs[d]["b"]).alias("b"), F.max(ivs[d]["e"]).alias("e"))
+    return F.array(*map(one, range(k))) if k else F.array().cast(IV)
 
 
 def register(spark: SparkSession) -> None:

@@ -32,26 +32,43 @@ KINDS = ("insert_edge", "delete_edge", "insert_node", "delete_node")
 class Index:
     """An immutable version: the live graph, its condensation, the containment forest and the labels.
 
-    membership has a row for every node; components are named by their smallest node.
+    Components are named by their smallest node. Which component a node is in, the forest says: `containment` has rows for
+    nodes and absorbed components only, at most `depth` steps below a current component. `membership` lists it for all
+    nodes; it is made when asked for and kept.
     """
 
     nodes: DataFrame
     edges: DataFrame
-    membership: DataFrame
     components: DataFrame
     dag_edges: DataFrame
     labels: DataFrame
     containment: DataFrame
     k: int
     version: int = 0
+    depth: int = 1
     facts: dict = field(default_factory=dict)
+    kept: dict = field(default_factory=dict, repr=False, compare=False)
+
+    def lookup(self, nodes: DataFrame) -> DataFrame:
+        """(node, comp) of the nodes given, through the forest."""
+        from dynreach.operators.containment import find
+
+        return find(self.containment, nodes, self.depth)
+
+    @property
+    def membership(self) -> DataFrame:
+        if "membership" not in self.kept:
+            from dynreach.plans.loops import cut
+
+            self.kept["membership"] = cut(self.lookup(self.nodes))
+        return self.kept["membership"]
 
     @property
     def spark(self) -> SparkSession:
         return self.edges.sparkSession
 
     def next(self, **changed) -> Index:
-        return replace(self, **{"version": self.version + 1} | changed)
+        return replace(self, **{"version": self.version + 1, "kept": {}} | changed)
 
 
 def check_ids(edges: DataFrame) -> None:

@@ -13,7 +13,7 @@ from dynreach.model import ANSWERS, Index
 from dynreach.operators import index as I
 from dynreach.operators.kernel import index_of
 from dynreach.operators.query import grow
-from dynreach.plans.loops import cut, empty
+from dynreach.plans.loops import cut, empty, fits
 from dynreach.sources.graphs import nodes_of
 
 
@@ -93,14 +93,13 @@ def tree_cover(dag_edges: DataFrame, components: DataFrame, conf: EngineConf = D
 
     One task walks the condensation; a node keeps its tree interval and those it inherits, none within another.
     """
-    if dag_edges.limit(conf.local_rows + 1).count() > conf.local_rows:
+    if not fits(conf, dag_edges, components):
         raise ValueError("tree cover is built in one task")
-    rows = components.select(F.col("comp").alias("s"), F.lit(None).cast("long").alias("t")).union(dag_edges.select("s", "t"))
+    rows = components.select(F.col("comp").alias("s"), F.lit(-1).cast("long").alias("t")).union(dag_edges.select("s", "t"))
 
     def run(group: pd.DataFrame) -> pd.DataFrame:
-        solo = group["t"].isna()
-        links = group[~solo]
-        out = index_of(zip(links["s"].tolist(), links["t"].astype("int64").tolist()))
+        links = group[group["t"] >= 0]
+        out = index_of(zip(links["s"].tolist(), links["t"].tolist()))
         below = {t for ts in out.values() for t in ts}
         rank: dict[int, int] = {}
         own: dict[int, list[tuple[int, int]]] = {}
@@ -135,13 +134,13 @@ def tree_cover_reach(cover: DataFrame, pairs: DataFrame) -> DataFrame:
 
 def two_hop(dag_edges: DataFrame, components: DataFrame, conf: EngineConf = DEFAULT) -> DataFrame:
     """(comp, hubs_out, hubs_in): static two-hop labels by pruned sweeps from hubs in order of degree; one task."""
-    if dag_edges.limit(conf.local_rows + 1).count() > conf.local_rows:
+    if not fits(conf, dag_edges, components):
         raise ValueError("two-hop labels are built in one task")
-    rows = components.select(F.col("comp").alias("s"), F.lit(None).cast("long").alias("t")).union(dag_edges.select("s", "t"))
+    rows = components.select(F.col("comp").alias("s"), F.lit(-1).cast("long").alias("t")).union(dag_edges.select("s", "t"))
 
     def run(group: pd.DataFrame) -> pd.DataFrame:
-        links = group[~group["t"].isna()]
-        edges = list(zip(links["s"].tolist(), links["t"].astype("int64").tolist()))
+        links = group[group["t"] >= 0]
+        edges = list(zip(links["s"].tolist(), links["t"].tolist()))
         out, inn = index_of(edges), index_of((t, s) for s, t in edges)
         comps = sorted(set(group["s"].tolist()))
         hubs_out, hubs_in = {c: {c} for c in comps}, {c: {c} for c in comps}

@@ -7,9 +7,9 @@ from pyspark.sql import functions as F
 
 
 def ends(edges: DataFrame, membership: DataFrame) -> DataFrame:
-    """(src, dst, s, t): both ends with their components; nodes without a row stand for themselves."""
+    """The rows of edges with s and t, their ends' components; nodes without a row stand for themselves."""
     a, b = membership.select(F.col("node").alias("src"), F.col("comp").alias("s")), membership.select(F.col("node").alias("dst"), F.col("comp").alias("t"))
-    return edges.join(a, "src", "left").join(b, "dst", "left").select("src", "dst", F.coalesce("s", "src").alias("s"), F.coalesce("t", "dst").alias("t"))
+    return edges.join(a, "src", "left").join(b, "dst", "left").select(*edges.columns, F.coalesce("s", "src").alias("s"), F.coalesce("t", "dst").alias("t"))
 
 
 def build(edges: DataFrame, membership: DataFrame) -> DataFrame:

@@ -28,8 +28,16 @@ def detach(containment: DataFrame, leaving: DataFrame) -> DataFrame:
     return containment.join(leaving.select(F.col("node").alias("child")), "child", "left_anti").select("child", "parent", "epoch")
 
 
-def find(containment: DataFrame, nodes: DataFrame, conf: EngineConf = DEFAULT) -> DataFrame:
-    """(node, comp) of the nodes asked for: lazy, only their paths are followed."""
+def find(containment: DataFrame, nodes: DataFrame, depth: int | None = None, conf: EngineConf = DEFAULT) -> DataFrame:
+    """(node, comp) of the nodes asked for: only their paths are followed, so many joins as the forest is deep.
+
+    Without a known depth, parents are doubled until nothing moves.
+    """
+    if depth is not None:
+        at, links = nodes.select("node", F.col("node").alias("comp")), containment.select(F.col("child").alias("comp"), "parent")
+        for _ in range(depth):
+            at = at.join(links, "comp", "left").select("node", F.coalesce("parent", "comp").alias("comp"))
+        return at
     at = cut(nodes.select("node", F.col("node").alias("comp")))
     links = containment.select(F.col("child").alias("comp"), "parent")
     for _ in range(conf.max_rounds):
@@ -49,11 +57,21 @@ def double(links: DataFrame) -> DataFrame:
 
 def compress(containment: DataFrame, conf: EngineConf = DEFAULT) -> DataFrame:
     """The same forest with every child directly below its current component."""
-    found = find(containment, containment.select(F.col("child").alias("node")).distinct(), conf)
+    found = find(containment, containment.select(F.col("child").alias("node")).distinct(), conf=conf)
     epochs = containment.select("child", "epoch")
     return found.join(epochs, F.col("node") == F.col("child")).select("child", F.col("comp").alias("parent"), "epoch")
 
 
+def members(containment: DataFrame, comps: DataFrame, depth: int) -> DataFrame:
+    """(node, comp) of all nodes of the components asked for, down the forest; rows of other components are not followed."""
+    at = comps.select(F.col("comp").alias("node"), "comp")
+    found, links = at, containment.select("child", F.col("parent").alias("node"))
+    for _ in range(depth):
+        at = at.join(links, "node").select(F.col("child").alias("node"), "comp")
+        found = found.union(at)
+    return found
+
+
 def depth(containment: DataFrame, conf: EngineConf = DEFAULT) -> int:
     """Longest path to a current component."""
     n, below = 0, containment.select("child", "parent")

@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from dynreach.plans.loops import cut, empty
+from dynreach.conf import DEFAULT, EngineConf
+from dynreach.operators.plain import PlainGraph, drawn_operations
+from dynreach.plans.loops import cut, empty, fits
 
 #: An integer mix of 31 bits that SQL engines compute alike.
 _A, _B, _M = 1103515245, 12345, 2147483648
@@ -111,15 +114,27 @@ def update_sequence(edges: DataFrame, n_ops: int, mix_ratio: tuple[int, int, int
     return ops.where("kind <> 'delete_edge'").union(ops.join(first, "op_id", "left_semi").select(*ops.columns)).orderBy("op_id")
 
 
+def drawn_sequence(edges: DataFrame, n_ops: int, ratio: tuple[int, int, int, int] = (60, 15, 20, 5), most_degree: int = 4, seed: int = 3, conf: EngineConf = DEFAULT) -> DataFrame:
+    """A random sequence: kinds in the ratio given, sources uniform and heads by in-degree, random in- and out-degrees of new
+    nodes, deletions uniform over the edges and nodes that are there when their turn comes. One task draws it."""
+    if not fits(conf, edges):
+        raise ValueError("one task draws the sequence and can't hold this graph; update_sequence has no such bound")
+
+    def run(group: pd.DataFrame) -> pd.DataFrame:
+        links = sorted(zip(group["src"].tolist(), group["dst"].tolist()))
+        rows = [(i, *op) for i, op in enumerate(drawn_operations(PlainGraph(links), n_ops, ratio, most_degree, seed))]
+        return pd.DataFrame(rows, columns=["op_id", "kind", "u", "v", "outs", "ins"])
+
+    found = edges.select("src", "dst").groupBy(F.lit("all")).applyInPandas(run, "op_id long, kind string, u long, v long, outs array<long>, ins array<long>")
+    node = F.col("kind") == "insert_node"
+    return found.select("op_id", F.lit(None).cast("timestamp_ntz").alias("ts"), "kind", "u", F.when(F.col("v") >= 0, F.col("v")).alias("v"), F.when(node, F.col("outs")).alias("outs"), F.when(node, F.col("ins")).alias("ins"))
+
+
 def edge_ranks(edges: DataFrame) -> DataFrame:
-    """(src, dst, place): order by (dst, src), by ranges of dst."""
-    bounds = edges.agg(F.min("dst"), F.max("dst")).first()
-    width = max(1, -(-(bounds[1] - bounds[0] + 1) // 256))
-    placed = edges.select("src", "dst").withColumn("range", F.floor((F.col("dst") - bounds[0]) / width))
-    sums = placed.groupBy("range").agg(F.count("*").alias("n"))
-    ahead = sums.select("range", F.coalesce(F.sum("n").over(Window.orderBy("range").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("ahead"))
-    row = F.row_number().over(Window.partitionBy("range").orderBy("dst", "src"))
-    return placed.withColumn("row", row).join(F.broadcast(ahead), "range").select("src", "dst", (F.col("ahead") + F.col("row") - 1).alias("place"))
+    """(src, dst, place): place in the order by (dst, src)."""
+    from dynreach.sources.graphs import ordered
+
+    return ordered(edges.select("src", "dst"), "dst", "src", name="place")
 
 
 def query_pairs(nodes: DataFrame, n: int, seed: int = 9) -> DataFrame:

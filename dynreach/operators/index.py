@@ -11,11 +11,13 @@ from dynreach import model
 from dynreach.conf import DEFAULT, EngineConf
 from dynreach.model import Index, check_ids
 from dynreach.operators import condense, containment, labels as L, scc
-from dynreach.plans.loops import cut
+from dynreach.plans.loops import cut, fits
 from dynreach.sources.graphs import nodes_of
 
 #: Declared, as an empty table leaves no file to read a schema from.
-TABLES = {"nodes": model.NODES, "edges": model.EDGES, "membership": model.MEMBERSHIP, "components": model.COMPONENTS, "dag_edges": model.DAG_EDGES, "labels": model.LABELS, "containment": model.CONTAINMENT}
+TABLES = {"nodes": model.NODES, "edges": model.EDGES, "components": model.COMPONENTS, "dag_edges": model.DAG_EDGES, "labels": model.LABELS, "containment": model.CONTAINMENT}
+
+POINTERS = "version long, folder string, k int, depth int, batch_id long"
 
 
 def build(edges: DataFrame, nodes: DataFrame | None = None, k: int = 1, seed: int = 42, labeling: str = "auto", method: str = "auto", order: str = "random", conf: EngineConf = DEFAULT) -> Index:
@@ -31,9 +33,9 @@ def assemble(nodes: DataFrame, edges: DataFrame, membership: DataFrame, k: int,
     components = cut(scc.component_sizes(membership))
     dag = cut(condense.build(edges, membership))
     if labeling == "auto":
-        labeling = "postorder" if dag.limit(conf.local_rows + 1).count() <= conf.local_rows else "bulk"
+        labeling = "postorder" if fits(conf, dag, components) else "bulk"
     drawn = L.postorder(dag, components, k, seed, order, conf.slack, conf) if labeling == "postorder" else L.bulk(dag, components, k, seed, conf.slack, conf)
-    return Index(nodes, edges, membership, components, dag, cut(drawn), containment.build(membership), k, version)
+    return Index(nodes, edges, components, dag, cut(drawn), cut(containment.build(membership)), k, version, kept={"membership": membership})
 
 
 def commit(index: Index, path: str, ledger_id: int | None = None, buckets: int = 16) -> str:
@@ -43,13 +45,13 @@ def commit(index: Index, path: str, ledger_id: int | None = None, buckets: int =
         table: DataFrame = getattr(index, name)
         key = table.columns[0]
         table.withColumn("bucket", F.pmod(F.xxhash64(key), F.lit(buckets)).cast("int")).write.partitionBy("bucket").parquet(f"{folder}/{name}")
-    pointer = index.spark.createDataFrame([(index.version, folder, index.k, -1 if ledger_id is None else ledger_id)], "version long, folder string, k int, batch_id long")
+    pointer = index.spark.createDataFrame([(index.version, folder, index.k, index.depth, -1 if ledger_id is None else ledger_id)], POINTERS)
     pointer.coalesce(1).write.mode("append").parquet(f"{path}/pointers")
     return folder
 
 
 def versions(spark: SparkSession, path: str) -> DataFrame:
-    return spark.read.schema("version long, folder string, k int, batch_id long").parquet(f"{path}/pointers")
+    return spark.read.schema(POINTERS).parquet(f"{path}/pointers")
 
 
 def load(spark: SparkSession, path: str, version: int | None = None) -> Index:
@@ -57,4 +59,4 @@ def load(spark: SparkSession, path: str, version: int | None = None) -> Index:
     rows = versions(spark, path)
     row = (rows if version is None else rows.where(F.col("version") == version)).orderBy(F.desc("version")).first()
     tables = {name: spark.read.schema(f"{columns}, bucket int").parquet(f"{row.folder}/{name}").drop("bucket") for name, columns in TABLES.items()}
-    return Index(**tables, k=row.k, version=row.version)
+    return Index(**tables, k=row.k, version=row.version, depth=row.depth)

@@ -15,9 +15,9 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from dynreach.conf import DEFAULT, EngineConf
-from dynreach.functions.intervals import label_covers
+from dynreach.functions.intervals import IV, label_covers
 from dynreach.operators.kernel import walk
-from dynreach.plans.loops import cut, empty
+from dynreach.plans.loops import cut, empty, fits
 
 LONG = "comp long, dim int, b long, e long"
 
@@ -37,6 +37,13 @@ def unpack(labels: DataFrame) -> DataFrame:
     return labels.select("comp", F.posexplode("iv").alias("dim", "x")).select("comp", "dim", F.col("x.b").alias("b"), F.col("x.e").alias("e"))
 
 
+def paired(flat, k: int):
+    """Intervals from an array of b and e in turn."""
+    if not k:
+        return F.array().cast(IV)
+    return F.array(*[F.struct(F.element_at(flat, 2 * d + 1).alias("b"), F.element_at(flat, 2 * d + 2).alias("e")) for d in range(k)])
+
+
 def none(components: DataFrame) -> DataFrame:
     """k = 0: empty labels, which cover everything."""
     return components.select("comp", F.array().cast("array<struct<b:long,e:long>>").alias("iv"))
@@ -46,18 +53,19 @@ def postorder(dag_edges: DataFrame, components: DataFrame, k: int = 1, seed: int
     """labels by k walks; children and roots are visited in random order, or by id up (asc) or down (desc)."""
     if not k:
         return none(components)
-    if dag_edges.limit(conf.local_rows + 1).count() > conf.local_rows:
+    if not fits(conf, dag_edges, components):
         raise ValueError("the condensation is too large for one task; use bulk")
-    rows = components.select(F.col("comp").alias("s"), F.lit(None).cast("long").alias("t"), "size").union(dag_edges.select("s", "t", F.lit(0).cast("long")))
+    # -1 stands for no edge: a null would make pandas turn the ids into floats, which can't hold large ones
+    rows = components.select(F.col("comp").alias("s"), F.lit(-1).cast("long").alias("t"), "size").union(dag_edges.select("s", "t", F.lit(0).cast("long")))
     dims = components.sparkSession.range(k).select(F.col("id").cast("int").alias("dim"))
 
     def run(key: tuple, group: pd.DataFrame) -> pd.DataFrame:
         dim = int(key[0])
-        of_node = group["t"].isna()
+        of_node = group["t"] < 0
         sizes = dict(zip(group["s"][of_node].tolist(), group["size"][of_node].tolist()))
         out: dict[int, list[int]] = {}
         links = group[~of_node]
-        for s, t in zip(links["s"].tolist(), links["t"].astype("int64").tolist()):
+        for s, t in zip(links["s"].tolist(), links["t"].tolist()):
             out.setdefault(s, []).append(t)
         below = {t for ts in out.values() for t in ts}
         rng = random.Random(seed * 1009 + dim)
@@ -133,24 +141,22 @@ def propagate_up(labels: DataFrame, dag_edges: DataFrame, seeds: DataFrame | Non
 
     seeds(comp): components whose labels are new; without seeds every edge is looked at once.
     """
-    state = cut(labels)
+    state = labels
     edges = cut(dag_edges.select("s", "t"))
     changed = state if seeds is None else cut(state.join(seeds.select("comp").distinct(), "comp", "left_semi"))
-    raised = None
+    raised, new = None, state.limit(0)  # new: labels that differ from the state; nothing else is written in a round
     for _ in range(conf.max_rounds):
         offers = edges.join(changed.select(F.col("comp").alias("t"), F.col("iv").alias("low")), "t")
         offers = offers.select("s", F.posexplode("low").alias("dim", "x")).groupBy("s", "dim").agg(F.min("x.b").alias("b"), (F.max("x.e") + 1).alias("e"))
         asked = pack(offers.withColumnRenamed("s", "comp")).withColumnRenamed("iv", "asked")
-        merged = state.join(asked, "comp", "left").select(
-            "comp",
-            F.when(F.col("asked").isNull(), F.col("iv")).otherwise(F.zip_with("iv", "asked", lambda a, b: F.struct(F.least(a["b"], b["b"]).alias("b"), F.greatest(a["e"], b["e"]).alias("e")))).alias("iv"),
-            F.col("iv").alias("old"),
-        )
-        merged = cut(merged.withColumn("moved", F.col("iv") != F.col("old")).select("comp", "iv", "moved"))
-        state, changed = merged.select("comp", "iv"), merged.where("moved").select("comp", "iv")
+        now = asked.join(state, "comp").join(new.select("comp", F.col("iv").alias("newer")), "comp", "left").withColumn("old", F.coalesce("newer", "iv"))
+        wider = F.zip_with("old", "asked", lambda a, b: F.struct(F.least(a["b"], b["b"]).alias("b"), F.greatest(a["e"], b["e"]).alias("e")))
+        changed = cut(now.select("comp", wider.alias("iv"), "old").where("iv <> old").select("comp", "iv"))
         if empty(changed):
-            nothing = state.select("comp").limit(0) if raised is None else raised
-            return state, nothing.groupBy("comp").agg(F.count("*").alias("times"))
+            if raised is None:
+                return state, state.select("comp", F.lit(0).cast("long").alias("times")).limit(0)
+            return cut(state.join(new, "comp", "left_anti").unionByName(new)), raised.groupBy("comp").agg(F.count("*").alias("times"))
+        new = cut(new.join(changed, "comp", "left_anti").unionByName(changed))
         raised = changed.select("comp") if raised is None else raised.union(changed.select("comp"))
     raise RuntimeError("labels did not settle")
 

@@ -26,10 +26,12 @@ STRATEGIES = ("auto", "local", "forward", "bidirectional")
 
 def resolve(index: Index, pairs: DataFrame) -> DataFrame:
     """(qid, u, v, s, t, ls, lt): components and labels of both ends, null for unknown nodes."""
-    m, lab = index.membership, index.labels
-    a = m.select(F.col("node").alias("u"), F.col("comp").alias("s")).join(lab.select(F.col("comp").alias("s"), F.col("iv").alias("ls")), "s")
-    b = m.select(F.col("node").alias("v"), F.col("comp").alias("t")).join(lab.select(F.col("comp").alias("t"), F.col("iv").alias("lt")), "t")
-    return pairs.select("qid", "u", "v").join(a, "u", "left").join(b, "v", "left").select("qid", "u", "v", "s", "t", "ls", "lt")
+    rows = pairs.select("qid", "u", "v")
+    asked = rows.select(F.col("u").alias("node")).union(rows.select("v")).distinct().join(index.nodes, "node", "left_semi")
+    ends = cut(index.lookup(asked).join(index.labels, "comp").select("node", "comp", "iv"))  # of the nodes asked for only
+    a = ends.select(F.col("node").alias("u"), F.col("comp").alias("s"), F.col("iv").alias("ls"))
+    b = ends.select(F.col("node").alias("v"), F.col("comp").alias("t"), F.col("iv").alias("lt"))
+    return rows.join(a, "u", "left").join(b, "v", "left").select("qid", "u", "v", "s", "t", "ls", "lt")
 
 
 def label_reject(index: Index, pairs: DataFrame) -> DataFrame:
@@ -62,8 +64,10 @@ def reach_batch(index: Index, pairs: DataFrame, prune: bool = True, strategy: st
 
 
 def _local(index: Index, open_: DataFrame, prune: bool) -> DataFrame:
-    """The condensation and its labels go to every task; its rows were counted before."""
-    dag, labels = index.dag_edges.select("s", "t").toPandas(), index.labels.toPandas()
+    """The condensation and the labels of components with edges go to every task; its rows were counted before, and
+    there are two such components an edge at most."""
+    linked = index.dag_edges.select(F.col("s").alias("comp")).union(index.dag_edges.select("t")).distinct()
+    dag, labels = index.dag_edges.select("s", "t").toPandas(), index.labels.join(linked, "comp", "left_semi").toPandas()
     out: dict[int, list[int]] = {}
     for s, t in zip(dag["s"].tolist(), dag["t"].tolist()):
         out.setdefault(s, []).append(t)
@@ -81,6 +85,8 @@ def _local(index: Index, open_: DataFrame, prune: bool) -> DataFrame:
 
 
 def _search(out: dict, iv: dict, s: int, t: int, prune: bool) -> tuple[bool, int]:
+    if t not in iv:  # no edge leads to it
+        return False, 0
     goal, seen, stack, expanded = iv[t], {s}, [s], 0
     while stack:
         expanded += 1
@@ -151,6 +157,8 @@ def _bidirectional(index: Index, open_: DataFrame, prune: bool, conf: EngineConf
         hits = hit if hits is None else cut(hits.union(hit))
         for x in sides.values():
             x["frontier"] = cut(x["frontier"].join(hit, "qid", "left_anti"))
+    else:
+        raise RuntimeError("search did not settle")
     # a question of which one frontier has run dry without a meeting is answered: no path
     expanded = sides[True]["seen"].union(sides[False]["seen"]).groupBy("qid").agg(F.count("*").alias("expanded"))
     if hits is None:
@@ -160,9 +168,9 @@ def _bidirectional(index: Index, open_: DataFrame, prune: bool, conf: EngineConf
 
 
 def reaches(index: Index, u: int, v: int, conf: EngineConf = DEFAULT) -> bool:
-    """One question; its lookups prune to single rows."""
+    """One question, by frontier joins: no table is gathered, and labels cut the search short."""
     pair = index.spark.createDataFrame([(0, u, v)], "qid long, u long, v long")
-    return reach_batch(index, pair, conf=conf).first().reachable
+    return reach_batch(index, pair, strategy="forward", conf=conf).first().reachable
 
 
 def grow(start: DataFrame, edges: DataFrame, conf: EngineConf = DEFAULT) -> DataFrame:

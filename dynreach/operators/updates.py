@@ -13,7 +13,9 @@ from dynreach.model import OP_LOG, Index
 from dynreach.operators import index as I
 from dynreach.operators.kernel import DynamicIndex
 from dynreach.plans import batch
-from dynreach.plans.loops import cut
+from dynreach.plans.loops import cut, fits
+
+NONE = "cast(array() as array<long>)"
 
 
 def insert_edges(index: Index, rows: DataFrame, **more) -> Index:
@@ -42,10 +44,13 @@ def apply(index: Index, ops: DataFrame, mode: str = "auto", conf: EngineConf = D
 
 
 def _rows(ops: pd.DataFrame) -> Iterable[tuple]:
-    clean = lambda x: None if x is None or (not hasattr(x, "__len__") and pd.isna(x)) else x
+    """(op_id, kind, u, v, outs, ins) in order; -1 stands for no v, and arrays are not null, so that ids stay whole numbers."""
     for r in ops.sort_values("op_id").itertuples(index=False):
-        outs, ins = clean(r.outs), clean(r.ins)
-        yield int(r.op_id), r.kind, int(r.u), clean(r.v) if clean(r.v) is None else int(r.v), [] if outs is None else [int(x) for x in outs], [] if ins is None else [int(x) for x in ins]
+        yield int(r.op_id), r.kind, int(r.u), None if r.v < 0 else int(r.v), [int(x) for x in r.outs], [int(x) for x in r.ins]
+
+
+#: Columns of operations as a task takes them.
+TASK_OPS = ("op_id", "kind", "u", "coalesce(v, -1L) v", f"filter(coalesce(outs, {NONE}), x -> x is not null) outs", f"filter(coalesce(ins, {NONE}), x -> x is not null) ins")
 
 
 def sequential(nodes: DataFrame, edges: DataFrame, ops: DataFrame, k: int = 1, conf: EngineConf = DEFAULT, seed: int = 42, **modes) -> tuple[DataFrame, DataFrame]:
@@ -53,26 +58,25 @@ def sequential(nodes: DataFrame, edges: DataFrame, ops: DataFrame, k: int = 1, c
 
     modes: propagate, split, shrink and order of the kernel.
     """
-    if edges.limit(conf.local_rows + 1).count() > conf.local_rows:
+    if not fits(conf, edges, nodes):
         raise ValueError("one task can't hold the graph; take mode='batch'")
-    empty = "cast(null as array<long>)"
     rows = (
-        nodes.selectExpr("0 tag", "-1L op_id", "'' kind", "node u", "cast(null as long) v", f"{empty} outs", f"{empty} ins")
-        .union(edges.selectExpr("1", "-1L", "''", "src", "dst", empty, empty))
-        .union(ops.where("u is not null and (v is not null or kind like '%node')").selectExpr("2", "op_id", "kind", "u", "v", "outs", "ins"))
+        nodes.selectExpr("0 tag", "-1L op_id", "'' kind", "node u", "-1L v", f"{NONE} outs", f"{NONE} ins")
+        .union(edges.selectExpr("1", "-1L", "''", "src", "dst", NONE, NONE))
+        .union(ops.where("u is not null and (v is not null or kind like '%node')").selectExpr("2", *TASK_OPS))
     )
     slack = conf.slack
 
     def run(group: pd.DataFrame) -> pd.DataFrame:
         of = lambda tag: group[group["tag"] == tag]
-        ix = DynamicIndex(of(0)["u"].tolist(), zip(of(1)["u"].tolist(), of(1)["v"].astype("int64").tolist()), k=k, seed=seed, slack=slack, **modes)
+        ix = DynamicIndex(of(0)["u"].tolist(), zip(of(1)["u"].tolist(), of(1)["v"].tolist()), k=k, seed=seed, slack=slack, **modes)
         log = [{"op_id": op_id, **ix.apply(kind, u, v, outs, ins), "node": None, "comp": None} for op_id, kind, u, v, outs, ins in _rows(of(2))]
         if bad := ix.violations():
             raise AssertionError(f"labels broken at {bad[:3]}")
         log += [{"op_id": None, "kind": None, "case": None, "comps_touched": None, "labels_changed": None, "rounds": None, "ms": None, "node": n, "comp": c} for n, c in ix.membership().items()]
         columns = ["op_id", "kind", "case", "comps_touched", "labels_changed", "rounds", "ms", "node", "comp"]
-        out = pd.DataFrame(log, columns=columns)
-        return out.astype({c: "Int64" for c in columns if c not in ("kind", "case", "ms")})
+        whole = lambda c: pd.array([r[c] for r in log], dtype="Int64")
+        return pd.DataFrame({c: [r[c] for r in log] if c in ("kind", "case", "ms") else whole(c) for c in columns})
 
     both = cut(rows.groupBy(F.lit("all")).applyInPandas(run, OP_LOG + ", node long, comp long"))
     return both.where("op_id is not null").drop("node", "comp"), both.where("node is not null").select("node", "comp")

@@ -10,16 +10,20 @@ edges rebuilds the index instead.
 
 from __future__ import annotations
 
+from dataclasses import replace
+
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from dynreach.conf import DEFAULT, EngineConf
 from dynreach.functions.intervals import label_hull
 from dynreach.model import OPS, Index
-from dynreach.operators import condense, labels as L, scc
+from dynreach.operators import condense, containment, labels as L, scc, splits
 from dynreach.operators import index as I
-from dynreach.operators.scc import sweep, turned
-from dynreach.plans.loops import cut, empty
+from dynreach.operators.kernel import repaired
+from dynreach.operators.scc import turned
+from dynreach.plans.loops import cut, empty, fits
 
 NEVER = -1
 
@@ -53,9 +57,25 @@ def final_state(nodes: DataFrame, edges: DataFrame, ops: DataFrame) -> tuple[Dat
     return there, alive
 
 
-def prune(nodes: DataFrame, edges: DataFrame, ops: DataFrame) -> DataFrame:
+def nearby(nodes: DataFrame, edges: DataFrame, ops: DataFrame, conf: EngineConf = DEFAULT) -> tuple[DataFrame, DataFrame]:
+    """The nodes and edges that the operations can touch: edges they name, edges at nodes they delete, and all ends."""
+    few = ops.limit(conf.broadcast_rows + 1).count() <= conf.broadcast_rows
+    named = edge_events(ops).select("src", "dst").distinct().withColumn("named", F.lit(True))
+    killed = ops.where("kind = 'delete_node'").select(F.col("u").alias("node")).distinct().withColumn("dead", F.lit(True))
+    small = F.broadcast if few else (lambda df: df)  # as many rows as the operations name edges
+    marked = edges.join(small(named), ["src", "dst"], "left")
+    for end in ("src", "dst"):
+        marked = marked.join(small(killed.select(F.col("node").alias(end), F.col("dead").alias(f"dead_{end}"))), end, "left")
+    near = cut(marked.where("named or dead_src or dead_dst").select("src", "dst"))
+    ends = edge_events(ops).select("src", "dst").union(near)
+    ids = ends.select(F.col("src").alias("node")).union(ends.select("dst")).union(ops.where("kind like '%node'").select("u")).distinct()
+    return cut(nodes.join(ids, "node", "left_semi")), near
+
+
+def prune(nodes: DataFrame, edges: DataFrame, ops: DataFrame, conf: EngineConf = DEFAULT) -> DataFrame:
     """The net effect as (kind, u, v): the operations that change the graph, each at most once."""
-    there, alive = (cut(x) for x in final_state(nodes, edges, ops))
+    nodes, edges = nearby(nodes, edges, ops, conf)
+    there, alive = final_state(nodes, edges, ops)
     flat = lambda df, kind, cols: df.select(F.lit(kind).alias("kind"), F.col(cols[0]).alias("u"), (F.col(cols[1]) if len(cols) > 1 else F.lit(None).cast("long")).alias("v"))
     return (
         flat(alive.join(edges, ["src", "dst"], "left_anti"), "insert_edge", ("src", "dst"))
@@ -66,12 +86,14 @@ def prune(nodes: DataFrame, edges: DataFrame, ops: DataFrame) -> DataFrame:
 
 
 def classify(net: DataFrame, membership: DataFrame) -> DataFrame:
-    """Edge operations with s, t and class: ins_intra, ins_inter, del_intra, del_inter."""
+    """Edge operations with s, t and class: ins_intra, ins_inter, del_intra, del_inter. membership may hold their ends only."""
     rows = net.where("kind in ('insert_edge', 'delete_edge')").select("kind", F.col("u").alias("src"), F.col("v").alias("dst"))
-    both = condense.ends(rows, membership)
-    both = both.join(rows, ["src", "dst"]) if "kind" not in both.columns else both
     side = F.when(F.col("s") == F.col("t"), "_intra").otherwise("_inter")
-    return both.select("kind", F.col("src").alias("u"), F.col("dst").alias("v"), "s", "t", F.concat(F.substring("kind", 1, 3), side).alias("class"))
+    return condense.ends(rows, membership).select("kind", F.col("src").alias("u"), F.col("dst").alias("v"), "s", "t", F.concat(F.substring("kind", 1, 3), side).alias("class"))
+
+
+def ends_of(rows: DataFrame, a: str = "src", b: str = "dst") -> DataFrame:
+    return rows.select(F.col(a).alias("node")).union(rows.select(b)).distinct()
 
 
 def condense_ops(net: DataFrame, conf: EngineConf = DEFAULT) -> DataFrame:
@@ -81,124 +103,240 @@ def condense_ops(net: DataFrame, conf: EngineConf = DEFAULT) -> DataFrame:
 
 
 def apply(index: Index, ops: DataFrame, mode: str = "batch", conf: EngineConf = DEFAULT, seed: int = 42) -> Index:
-    """The index after the batch; facts hold the number of operations of each class and whether it was rebuilt."""
+    """The index after the batch; facts hold the number of operations of each class, whether it was rebuilt, and what a split touched."""
     if mode == "sequential":
         from dynreach.operators.updates import sequential_index
 
         return sequential_index(index, ops, conf, seed)
-    net = cut(prune(index.nodes, index.edges, ops))
-    classes = cut(classify(net, index.membership))
+    net = cut(prune(index.nodes, index.edges, ops, conf))
+    changes = net.where("kind like '%edge'").select(F.col("u").alias("src"), F.col("v").alias("dst"))
+    classes = cut(classify(net, index.lookup(ends_of(changes))))
     counts = {r[0]: r[1] for r in classes.groupBy("class").count().collect()}
-    new_nodes, gone_nodes = (net.where(F.col("kind") == k).select(F.col("u").alias("node")) for k in ("insert_node", "delete_node"))
+    kinds = {r[0]: r[1] for r in net.groupBy("kind").count().collect()}
     total = sum(counts.values())
-    facts = counts | {"ops": ops.count(), "net": total, "rebuilt": False}
-    inserted = classes.where("kind = 'insert_edge'").select(F.col("u").alias("src"), F.col("v").alias("dst"))
-    deleted = classes.where("kind = 'delete_edge'").select(F.col("u").alias("src"), F.col("v").alias("dst"))
-    grown = cut(index.edges.union(inserted))
-    edges = cut(grown.join(deleted, ["src", "dst"], "left_anti").select("src", "dst"))
-    nodes = cut(index.nodes.union(new_nodes).join(gone_nodes, "node", "left_anti"))
+    facts = counts | {"net": total, "rebuilt": False}
+    if not kinds:
+        return index.next(facts=facts)
+    new_nodes, gone_nodes = (net.where(F.col("kind") == k).select(F.col("u").alias("node")) for k in ("insert_node", "delete_node"))
+    few = total <= conf.broadcast_rows
+    small = F.broadcast if few else (lambda df: df)
+    edges, nodes = index.edges.select("src", "dst"), index.nodes
+    if "delete_edge" in kinds:
+        edges = edges.join(small(classes.where("kind = 'delete_edge'").select(F.col("u").alias("src"), F.col("v").alias("dst"))), ["src", "dst"], "left_anti")
+    if "insert_edge" in kinds:
+        edges = edges.union(classes.where("kind = 'insert_edge'").select("u", "v"))
+    if "delete_node" in kinds:
+        nodes = nodes.join(small(gone_nodes), "node", "left_anti")
+    if "insert_node" in kinds:
+        nodes = nodes.union(new_nodes)
+    edges, nodes = cut(edges.coalesce(_tasks(index.edges))) if total else edges, cut(nodes.coalesce(_tasks(index.nodes)))
     if mode == "rebuild" or total > conf.rebuild_ratio * max(1, index.edges.count()):
         membership = cut(scc.strongly_connected(nodes, edges, conf=conf))
         fresh = I.assemble(nodes, edges, membership, index.k, seed, conf=conf, version=index.version + 1)
-        return fresh.next(version=index.version + 1, facts=facts | {"rebuilt": True})
-    work = _Work(index, conf)
-    work.add_nodes(new_nodes, classes)
+        return replace(fresh, facts=facts | {"rebuilt": True})
+    work = _Work(index, conf, seed)
     work.between_components(classes.where("class like '%_inter'"))
-    work.merge_cycles(classes.where("class = 'ins_inter'"))
-    work.split(edges, deleted)
-    work.drop_nodes(gone_nodes)
-    return index.next(
-        nodes=nodes, edges=edges, membership=work.membership, components=cut(scc.component_sizes(work.membership)), dag_edges=work.dag, labels=work.labels, containment=work.containment, version=index.version + 1, facts=facts
-    )
+    work.insert(new_nodes, classes, kinds, counts)
+    if counts.get("del_intra"):
+        work.split(edges, classes.where("class = 'del_intra' and u <> v").select(F.col("u").alias("src"), F.col("v").alias("dst")))
+    if "delete_node" in kinds:
+        work.drop_nodes(gone_nodes)
+    return index.next(nodes=nodes, edges=edges, components=work.components, dag_edges=work.dag, labels=work.labels, containment=work.containment, depth=work.depth, facts=facts | work.facts)
+
+
+def _tasks(before: DataFrame) -> int:
+    """Partitions for what comes out of a table: unions add them up, and a batch after a batch must not."""
+    conf, sc = before.sparkSession.conf, before.sparkSession.sparkContext
+    return max(sc.defaultParallelism, int(conf.get("spark.sql.shuffle.partitions")), before.rdd.getNumPartitions())
 
 
 class _Work:
     """The parts of an index while a batch passes over them."""
 
-    def __init__(self, index: Index, conf: EngineConf):
-        self.k, self.conf, self.epoch = index.k, conf, index.version + 1
-        self.membership, self.dag, self.labels, self.containment = index.membership, index.dag_edges, index.labels, index.containment
+    def __init__(self, index: Index, conf: EngineConf, seed: int):
+        self.k, self.conf, self.epoch, self.seed, self.depth = index.k, conf, index.version + 1, seed, index.depth
+        self.dag, self.labels, self.containment, self.components = index.dag_edges, index.labels, index.containment, index.components
+        self.facts: dict = {}
 
-    def add_nodes(self, new: DataFrame, classes: DataFrame) -> None:
-        """Each is a component of its own: just above its children's labels, or past the largest end in use."""
+    def lookup(self, nodes: DataFrame) -> DataFrame:
+        return containment.find(self.containment, nodes, self.depth)
+
+    def between_components(self, inter: DataFrame) -> None:
+        """Multiplicities change by sums of the batch; pairs that reach zero go. Deletions leave labels as they are."""
+        delta = inter.groupBy("s", "t").agg(F.sum(F.when(F.col("kind") == "insert_edge", 1).otherwise(-1)).alias("mult"))
+        self._add(delta)
+
+    def _add(self, delta: DataFrame) -> None:
+        """Only the condensation edges that the delta names are summed again."""
+        delta = cut(delta.where("mult <> 0"))
+        if empty(delta):
+            return
+        few = delta.limit(self.conf.broadcast_rows + 1).count() <= self.conf.broadcast_rows
+        small = F.broadcast if few else (lambda df: df)
+        marked = self.dag.join(small(delta.withColumnRenamed("mult", "more")), ["s", "t"], "left")
+        kept = marked.select("s", "t", (F.col("mult") + F.coalesce("more", F.lit(0))).alias("mult")).where("mult > 0")
+        new = delta.join(self.dag.join(small(delta.select("s", "t")), ["s", "t"], "left_semi"), ["s", "t"], "left_anti").select("s", "t", "mult")
+        dag = kept.union(new)
+        self.dag = cut(dag.coalesce(_tasks(self.dag)))
+
+    def insert(self, new: DataFrame, classes: DataFrame, kinds: dict, counts: dict) -> None:
+        """New nodes are components of their own; cycles that new edges close are merged, and labels are raised."""
+        if "insert_node" in kinds:
+            self.components = self.components.union(new.select("node", F.lit(1).cast("long"), F.lit("current")))
+        inserted = classes.where("class = 'ins_inter'").select("s", "t").distinct()
+        if not counts.get("ins_inter") and "insert_node" not in kinds:
+            return
+        if fits(self.conf, self.dag, self.components):
+            self._insert_here(new, inserted)
+        else:
+            self._add_labels(new, inserted)
+            if counts.get("ins_inter"):
+                self._merge(inserted)
+        self.components = cut(self.components)
+
+    def _insert_here(self, new: DataFrame, inserted: DataFrame) -> None:
+        """One task takes the condensation and its labels, whose rows are counted, and says what merges and which labels change."""
+        flat = F.flatten(F.transform("iv", lambda x: F.array(x["b"], x["e"])))
+        none, k = F.array().cast("array<long>"), self.k
+        rows = (
+            self.dag.select(F.lit(0).alias("tag"), "s", "t", none.alias("iv"))
+            .union(self.labels.select(F.lit(1), "comp", F.lit(-1).cast("long"), flat))
+            .union(inserted.select(F.lit(2), "s", "t", none))
+            .union(new.select(F.lit(3), "node", F.lit(-1).cast("long"), none))
+        )
+
+        def run(group: pd.DataFrame) -> pd.DataFrame:
+            tag, s, t = (group[c].to_numpy() for c in ("tag", "s", "t"))
+            of = lambda x: list(zip(s[tag == x].tolist(), t[tag == x].tolist()))
+            labels = {c: list(zip(iv[::2].tolist(), iv[1::2].tolist())) for c, iv in zip(s[tag == 1].tolist(), group["iv"][tag == 1])}
+            merged, changed = repaired(of(0), labels, of(2), s[tag == 3].tolist(), k)
+            out = [(c, rep, []) for c, rep in merged.items()] + [(c, -1, [x for iv in ivs for x in iv]) for c, ivs in changed.items()]
+            return pd.DataFrame({"comp": pd.array([r[0] for r in out], dtype="int64"), "rep": pd.array([r[1] for r in out], dtype="int64"), "iv": [r[2] for r in out]})
+
+        found = cut(rows.groupBy(F.lit("all")).applyInPandas(run, "comp long, rep long, iv array<long>"))
+        merged = found.where("rep >= 0").select("comp", "rep")
+        if not empty(merged):
+            self._rename(merged)
+        labels = found.where("rep < 0").select("comp", L.paired(F.col("iv"), k).alias("iv"))
+        self._relabel(found.select("comp").distinct(), labels)
+
+    def _relabel(self, old: DataFrame, labels: DataFrame) -> None:
+        all_ = self.labels.join(old, "comp", "left_anti").unionByName(labels)
+        self.labels = cut(all_.coalesce(_tasks(self.labels)))
+
+    def _add_labels(self, new: DataFrame, inserted: DataFrame) -> None:
+        """By sets: a new component's label is just above its children's, or past the largest end in use."""
         if empty(new):
             return
-        self.membership = cut(self.membership.union(new.select("node", F.col("node").alias("comp"))))
         if not self.k:
             self.labels = cut(self.labels.union(L.none(new.select(F.col("node").alias("comp")))))
             return
         top = L.unpack(self.labels).agg(F.max("e")).first()[0] or 0
         fresh = F.array_repeat(F.struct(F.lit(top).cast("long").alias("b"), F.lit(top + 1).cast("long").alias("e")), self.k)
-        below = classes.where("kind = 'insert_edge'").select(F.col("s").alias("node"), F.col("t").alias("comp")).join(new, "node", "left_semi").join(self.labels, "comp")
-        hull = below.groupBy("node").agg(label_hull(F.col("iv")).alias("iv")).select("node", F.transform("iv", lambda x: F.struct(x["b"].alias("b"), (x["e"] + 1).alias("e"))).alias("iv"))
+        below = inserted.select(F.col("s").alias("node"), F.col("t").alias("comp")).join(new, "node", "left_semi").join(self.labels, "comp")
+        hull = below.groupBy("node").agg(label_hull(F.col("iv"), self.k).alias("iv")).select("node", F.transform("iv", lambda x: F.struct(x["b"].alias("b"), (x["e"] + 1).alias("e"))).alias("iv"))
         self.labels = cut(self.labels.union(new.join(hull, "node", "left").select(F.col("node").alias("comp"), F.coalesce("iv", fresh).alias("iv"))))
 
-    def between_components(self, inter: DataFrame) -> None:
-        """Multiplicities change by sums of the batch; pairs that reach zero go. Deletions leave labels as they are."""
-        delta = inter.groupBy("s", "t").agg(F.sum(F.when(F.col("kind") == "insert_edge", 1).otherwise(-1)).alias("mult"))
-        self.dag = cut(self.dag.union(delta).groupBy("s", "t").agg(F.sum("mult").alias("mult")).where("mult > 0"))
+    def _merge(self, inserted: DataFrame) -> None:
+        """By sets. Inserted edges are condensed among themselves first, so that cycles they close alone are one component
+        before anything is searched; any other cycle lies above the inserted tails, and new nodes have little above them."""
+        alone = inserted.select(F.col("s").alias("src"), F.col("t").alias("dst"))
+        self._absorb(cut(condense.compact(scc.strongly_connected(None, alone, conf=self.conf)).select(F.col("node").alias("comp"), F.col("comp").alias("rep"))))
+        up = scc.sweep(inserted.join(self.moved, F.col("s") == F.col("comp"), "left").select(F.coalesce("rep", "s").alias("node")), turned(self._plain()), self.conf)
+        e = self._plain()
+        inner = e.join(up.withColumnRenamed("node", "src"), "src", "left_semi").join(up.withColumnRenamed("node", "dst"), "dst", "left_semi").select("src", "dst")
+        first = self.moved
+        self._absorb(cut(condense.compact(scc.strongly_connected(None, inner, conf=self.conf)).select(F.col("node").alias("comp"), F.col("comp").alias("rep"))))
+        if self.k:
+            seeds = inserted.select(F.col("t").alias("comp")).union(first.select("rep")).distinct()
+            for moved in (first, self.moved):
+                seeds = seeds.join(moved, "comp", "left").select(F.coalesce("rep", "comp").alias("comp")).union(moved.select("rep")).distinct()
+            self.labels = L.propagate_up(self.labels, self.dag, seeds.join(self.labels, "comp", "left_semi").select("comp"), self.conf)[0]
 
-    def merge_cycles(self, inserted: DataFrame) -> None:
-        if empty(inserted):
-            return
-        e = cut(self.dag.select(F.col("s").alias("src"), F.col("t").alias("dst")))
-        down = sweep(inserted.select(F.col("t").alias("node")), e, self.conf)
-        up = sweep(inserted.select(F.col("s").alias("node")), turned(e), self.conf)
-        around = cut(down.join(up, "node", "left_semi"))
-        inner = e.join(around.withColumnRenamed("node", "src"), "src", "left_semi").join(around.withColumnRenamed("node", "dst"), "dst", "left_semi").select("src", "dst")
-        merged = cut(condense.compact(scc.strongly_connected(None, inner, conf=self.conf)).select(F.col("node").alias("comp"), F.col("comp").alias("rep")))
-        seeds = inserted.select(F.col("t").alias("comp")).distinct()
+    def _plain(self) -> DataFrame:
+        return cut(self.dag.select(F.col("s").alias("src"), F.col("t").alias("dst")))
+
+    def _absorb(self, merged: DataFrame) -> None:
+        self.moved = merged
         if not empty(merged):
-            self.rename(merged)
-            hulls = self.labels.join(merged, "comp").groupBy("rep").agg(label_hull(F.col("iv")).alias("iv")).select(F.col("rep").alias("comp"), "iv")
-            self.labels = cut(self.labels.join(merged, "comp", "left_anti").unionByName(hulls))
-            self.containment = cut(self.containment.union(merged.where("comp <> rep").select(F.col("comp").alias("child"), F.col("rep").alias("parent"), F.lit(self.epoch).cast("long"))))
-            seeds = seeds.join(merged, "comp", "left").select(F.coalesce("rep", "comp").alias("comp")).union(merged.select(F.col("rep").alias("comp"))).distinct()
-        if self.k:
-            self.labels = L.propagate_up(self.labels, self.dag, seeds, self.conf)[0]
+            hulls = self.labels.join(merged, "comp").groupBy("rep").agg(label_hull(F.col("iv"), self.k).alias("iv")).select(F.col("rep").alias("comp"), "iv")
+            labels = cut(hulls)
+            self._rename(merged)
+            self._relabel(merged.select("comp"), labels)
+
+    def _rename(self, merged: DataFrame) -> None:
+        """Merged components take the name of what they are part of: one row of the forest for each that is absorbed, and the
+        condensation edges at them. No row of a node changes."""
+        few = merged.limit(self.conf.broadcast_rows + 1).count() <= self.conf.broadcast_rows
+        small = F.broadcast if few else (lambda df: df)
+        a, b = small(merged.select(F.col("comp").alias("s"), F.col("rep").alias("rs"))), small(merged.select(F.col("comp").alias("t"), F.col("rep").alias("rt")))
+        ends = cut(self.dag.join(a, "s", "left").join(b, "t", "left").select("s", "t", "mult", "rs", "rt"))
+        moved = ends.where("rs is not null or rt is not null").select(F.coalesce("rs", "s").alias("s"), F.coalesce("rt", "t").alias("t"), "mult")
+        # both ends of what a moved edge falls together with have an end that is a new name, so they moved as well
+        dag = ends.where("rs is null and rt is null").select("s", "t", "mult").union(moved.where("s <> t").groupBy("s", "t").agg(F.sum("mult").alias("mult")))
+        self.dag = cut(dag.coalesce(_tasks(self.dag)))
+        absorbed = merged.where("comp <> rep").select(F.col("comp").alias("child"), F.col("rep").alias("parent"), F.lit(self.epoch).cast("long").alias("epoch"))
+        self.containment, self.depth = cut(self.containment.union(absorbed)), self.depth + 1
+        if self.depth > self.conf.forest_depth:
+            self._compress()
+        sizes = self.components.join(small(merged), "comp").groupBy(F.col("rep").alias("comp")).agg(F.sum("size").alias("size")).withColumn("status", F.lit("current"))
+        self.components = cut(self.components.join(small(merged.select("comp")), "comp", "left_anti").unionByName(sizes))
 
-    def rename(self, merged: DataFrame) -> None:
-        """Rows of merged components take the name of what they are part of; only condensation edges at them change."""
-        self.membership = cut(self.membership.join(merged, "comp", "left").select("node", F.coalesce("rep", "comp").alias("comp")))
-        a, b = merged.select(F.col("comp").alias("s"), F.col("rep").alias("rs")), merged.select(F.col("comp").alias("t"), F.col("rep").alias("rt"))
-        moved = self.dag.join(a, "s", "left").join(b, "t", "left").select(F.coalesce("rs", "s").alias("s"), F.coalesce("rt", "t").alias("t"), "mult")
-        self.dag = cut(moved.where("s <> t").groupBy("s", "t").agg(F.sum("mult").alias("mult")))
+    def _compress(self) -> None:
+        """Rows point at current components again."""
+        found = self.lookup(self.containment.select(F.col("child").alias("node")))
+        self.containment = cut(self.containment.join(found, F.col("child") == F.col("node")).select("child", F.col("comp").alias("parent"), "epoch"))
+        self.depth = 1
 
     def split(self, edges: DataFrame, deleted: DataFrame) -> None:
-        """Decomposes the components that lose an inner edge, all at once; pieces start from the old label."""
-        lost = condense.ends(deleted, self.membership).where("s = t and src <> dst").select(F.col("s").alias("comp")).distinct()
-        lost = cut(lost)
+        """Decomposes components that lost an inner edge. What stays with the component's name keeps all its rows."""
+        conf = self.conf
+        lost = cut(condense.ends(deleted, self.lookup(ends_of(deleted))).where("s = t and src <> dst").select("src", "dst", F.col("s").alias("comp")))
         if empty(lost):
             return
-        members = cut(self.membership.join(lost, "comp", "left_semi").select("node", "comp"))
-        both = condense.ends(edges.join(members.select(F.col("node").alias("src")), "src", "left_semi"), self.membership)
-        inner = both.where("s = t").select("src", "dst")
-        fresh = scc.strongly_connected(members.select("node"), inner, conf=self.conf).withColumnRenamed("comp", "piece")
-        pieces = cut(members.join(fresh, "node").select("node", "comp", "piece"))
-        parted = cut(pieces.groupBy("comp").agg(F.count_distinct("piece").alias("n")).where("n > 1").select("comp"))
-        if empty(parted):
+        comps = cut(lost.select("comp").distinct())
+        members = cut(containment.members(self.containment, comps, self.depth))
+        extract = conf.split == "extract" or (conf.split == "auto" and not fits(conf, members))
+        leavers, seen = splits.leavers(edges, members, lost, conf) if extract else (members, None)
+        if seen is not None and empty(leavers):
+            self.facts |= {"split": "none", "touched": seen}
             return
-        moved = cut(pieces.join(parted, "comp", "left_semi").select("node", "comp", "piece"))
-        self.membership = cut(self.membership.join(moved.select("node", "piece"), "node", "left").select("node", F.coalesce("piece", "comp").alias("comp")))
-        self.containment = cut(
-            self.containment.join(moved.select(F.col("node").alias("child")), "child", "left_anti").select("child", "parent", "epoch").union(moved.where("node <> piece").select("node", "piece", F.lit(self.epoch).cast("long")))
-        )
-        there = moved.select("node")
-        at = edges.join(there.withColumnRenamed("node", "src"), "src", "left_semi").union(edges.join(there.withColumnRenamed("node", "dst"), "dst", "left_semi").select("src", "dst")).distinct()
-        away = self.dag.join(parted.withColumnRenamed("comp", "s"), "s", "left_anti").join(parted.withColumnRenamed("comp", "t"), "t", "left_anti").select("s", "t", "mult")
-        self.dag = cut(away.union(condense.build(at, self.membership)))
-        names = moved.select("comp", "piece").distinct()
-        fresh_labels = self.labels.join(names, "comp").select(F.col("piece").alias("comp"), "iv")
-        self.labels = cut(self.labels.join(parted, "comp", "left_anti").unionByName(fresh_labels))
-        if self.k:
-            self.labels = L.propagate_up(self.labels, self.dag, names.select(F.col("piece").alias("comp")), self.conf)[0]
+        there = members.join(leavers.select("node"), "node", "left_semi") if seen is not None else members
+        inner = splits.inner(edges, there)
+        fresh = scc.strongly_connected(there.select("node"), inner, conf=conf).withColumnRenamed("comp", "piece")
+        moved = cut(there.join(fresh, "node").select("node", "comp", "piece").where("comp <> piece"))
+        self.facts |= {"split": "naive" if seen is None else "extract", "touched": seen if seen is not None else inner.count(), "left": moved.count()}
+        if not self.facts["left"]:
+            return
+        if self.depth > 1:  # paths through what leaves must not go with it
+            self._compress()
+        at = cut(splits.incident(edges, moved))
+        before = condense.build(at, cut(self.lookup(ends_of(at)))).withColumn("mult", -F.col("mult"))
+        there = self.containment.join(moved.select(F.col("node").alias("child")), "child", "left_anti").select("child", "parent", "epoch")
+        rows = there.union(moved.where("node <> piece").select("node", "piece", F.lit(self.epoch).cast("long")))
+        delta = cut(before)
+        self.containment = cut(rows.coalesce(_tasks(self.containment)))
+        after = condense.build(at, cut(self.lookup(ends_of(at))))
+        self._add(delta.union(after).groupBy("s", "t").agg(F.sum("mult").alias("mult")))
+        sizes = moved.groupBy("comp", F.col("piece")).agg(F.count("*").alias("size"))
+        parted = cut(sizes.groupBy("comp").agg(F.sum("size").alias("gone")))
+        rest = self.components.join(parted, "comp").select("comp", (F.col("size") - F.col("gone")).alias("size"), "status")
+        new = sizes.select(F.col("piece").alias("comp"), "size", F.lit("current").alias("status"))
+        self.components = cut(self.components.join(parted.select("comp"), "comp", "left_anti").unionByName(rest).unionByName(new))
+        names = cut(sizes.select(F.col("comp").alias("of"), F.col("piece").alias("comp")).union(parted.select(F.col("comp").alias("of"), "comp")))
+        if not self.k:
+            self.labels = cut(self.labels.unionByName(L.none(new.select("comp"))))
+            return
+        old = self.labels.join(parted.select("comp"), "comp", "left_semi").select(F.col("comp").alias("of"), "iv")
+        drawn = cut(splits.labels(names, old, self.components, self.dag, self.labels, self.k, self.seed + self.epoch, conf))
+        self._relabel(names.select("comp"), drawn)
+        self.labels = L.propagate_up(self.labels, self.dag, names.select("comp"), conf)[0]
 
     def drop_nodes(self, gone: DataFrame) -> None:
         """Nodes that have lost their edges leave every table."""
-        if empty(gone):
-            return
-        self.membership = cut(self.membership.join(gone, "node", "left_anti"))
-        self.labels = cut(self.labels.join(gone.withColumnRenamed("node", "comp"), "comp", "left_anti"))
+        comps = gone.withColumnRenamed("node", "comp")
+        self.labels = cut(self.labels.join(comps, "comp", "left_anti"))
+        self.components = cut(self.components.join(comps, "comp", "left_anti"))
         self.containment = cut(self.containment.join(gone.withColumnRenamed("node", "child"), "child", "left_anti").select("child", "parent", "epoch"))
 
 

@@ -10,7 +10,10 @@ from pyspark.sql import DataFrame, SparkSession
 def ensure_checkpoint_dir(spark: SparkSession) -> None:
     sc = spark.sparkContext
     if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="dynreach-"))
+        shared = spark.conf.get("spark.checkpoint.dir", None)
+        if shared is None and not sc.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+        sc.setCheckpointDir(shared or tempfile.mkdtemp(prefix="dynreach-"))  # one machine
 
 
 def cut(df: DataFrame) -> DataFrame:
@@ -19,5 +22,15 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(True)
 
 
+def fits(conf, *tables: DataFrame) -> bool:
+    """Whether all the tables together have at most conf.local_rows rows; no more than that are counted."""
+    left = conf.local_rows
+    for table in tables:
+        left -= table.limit(left + 1).count()
+        if left < 0:
+            return False
+    return True
+
+
 def empty(df: DataFrame) -> bool:
     return df.limit(1).count() == 0

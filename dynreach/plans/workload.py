@@ -2,17 +2,20 @@
 
 from __future__ import annotations
 
+import random
 import time
+import zlib
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from dynreach.conf import DEFAULT, EngineConf
-from dynreach.operators.generators import update_sequence
+from dynreach.operators.generators import drawn_sequence
 from dynreach.operators.kernel import DynamicIndex
-from dynreach.operators.updates import _rows
-from dynreach.plans.loops import cut
+from dynreach.operators.plain import PlainGraph
+from dynreach.operators.updates import NONE, TASK_OPS, _rows
+from dynreach.plans.loops import cut, fits
 from dynreach.sources import graphs as G
 
 NO_IDS = "cast(null as array<long>)"
@@ -51,7 +54,7 @@ def numbered(events: DataFrame, most: int | None = None) -> DataFrame:
     order = ["ts", "kind", "u", F.col("v").asc_nulls_last()]
     if most is not None:  # the feature: a bounded sequence
         events = events.orderBy(*order).limit(most)
-    rows = events.withColumn("op_id", F.row_number().over(Window.orderBy(*order)).cast("long") - 1)
+    rows = G.ordered(events, *order, name="op_id")
     node = F.col("kind") == "insert_node"
     outs = F.when(node & F.col("v").isNotNull(), F.array("v"))
     return rows.select("op_id", "ts", "kind", "u", F.when(~node, F.col("v")).alias("v"), outs.alias("outs"), F.expr(NO_IDS).alias("ins"))
@@ -60,8 +63,7 @@ def numbered(events: DataFrame, most: int | None = None) -> DataFrame:
 def ops_citation(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
     """(snapshot edges, ops): the first 85.8 % of orders by date are there, the others come as nodes with out-edges."""
     orders = G.read(spark, d, "orders").select("o_orderkey", "o_orderdate")
-    w = Window.orderBy("o_orderdate", "o_orderkey")
-    ranked = cut(orders.select("o_orderkey", F.row_number().over(w).alias("rank")))
+    ranked = cut(G.ordered(orders, "o_orderdate", "o_orderkey").select("o_orderkey", (F.col("rank") + 1).alias("rank")))
     n = ranked.count()
     early = ranked.where(F.col("rank") <= int(0.858 * n)).select(F.col("o_orderkey").alias("src"))
     edges = G.order_citation(spark, d)
@@ -82,78 +84,97 @@ def ops_events(spark: SparkSession, d: str) -> DataFrame:
     u = F.when(kind == "insert_edge", F.col("p")).when(kind == "delete_edge", F.col("pp")).otherwise(F.col("st"))
     v = F.when(kind == "insert_edge", F.col("st")).when(kind == "delete_edge", F.col("p"))
     rows = e.select("event_id", "ts", kind.alias("kind"), u.alias("u"), v.alias("v")).where("kind is not null and u is not null and (v is not null or kind = 'delete_node')")
-    return rows.select(op_order().alias("op_id"), "ts", "kind", "u", "v", F.expr(NO_IDS).alias("outs"), F.expr(NO_IDS).alias("ins"))
-
-
-def op_order():
-    """Operations in order of (ts, event_id) without a global window: microseconds, then the id."""
-    return F.unix_micros(F.col("ts").cast("timestamp")) * 1000 + F.col("event_id") % 1000
+    places = G.ordered(rows, "ts", "event_id", name="op_id")
+    return places.select("op_id", "ts", "kind", "u", "v", F.expr(NO_IDS).alias("outs"), F.expr(NO_IDS).alias("ins"))
 
 
 WORKLOADS = {
     "wiki_like": ops_wiki_like,
     "citation": ops_citation,
-    "uniform": lambda spark, d: (e := cut(G.uniform_pairs(spark, d)), update_sequence(e, 1000)),
-    "hub": lambda spark, d: (e := cut(G.goods_flow(spark, d)), update_sequence(e, 1000)),
+    "uniform": lambda spark, d: (e := cut(G.uniform_pairs(spark, d)), drawn_sequence(e, 1000)),
+    "hub": lambda spark, d: (e := cut(G.goods_flow(spark, d)), drawn_sequence(e, 1000)),
 }
 
-TIMES = "method string, k int, measure string, n long, total_ms double, avg_ms double, expanded double"
+TIMES = "method string, k int, measure string, n long, total_ms double, avg_ms double, expanded double, reached long, answers long"
+
+
+def _task_rows(edges: DataFrame, ops: DataFrame, conf: EngineConf) -> DataFrame:
+    if not fits(conf, edges):
+        raise ValueError("times are taken in one task, which can't hold this graph")
+    return edges.selectExpr("1 tag", "-1L op_id", "'' kind", "src u", "dst v", f"{NONE} outs", f"{NONE} ins").union(ops.selectExpr("2", *TASK_OPS))
+
+
+def _methods(spark: SparkSession, ks: tuple[int, ...]) -> DataFrame:
+    return spark.createDataFrame([(-1,), *((k,) for k in ks)], "k int")
 
 
-def op_times(edges: DataFrame, ops: DataFrame, ks: tuple[int, ...] = (0, 1, 2), queries: int = 300, most_ops: int | None = None, conf: EngineConf = DEFAULT, seed: int = 42) -> DataFrame:
-    """Average times of questions (Q) and of each kind of operation, for plain search and for idx(k); one task a method.
+def _replay(key: tuple, group: pd.DataFrame, most_ops: int | None, seed: int) -> tuple[int, DynamicIndex | None, PlainGraph, list[tuple]]:
+    k, of = int(key[0]), lambda tag: group[group["tag"] == tag]
+    links = sorted(zip(of(1)["u"].tolist(), of(1)["v"].tolist()))  # one order for every method
+    return k, None if k < 0 else DynamicIndex((), links, k=k, seed=seed), PlainGraph(links), list(_rows(of(2)))[:most_ops]
 
-    Questions are spread over the sequence and drawn uniformly from the nodes that are there.
+
+def op_times(edges: DataFrame, ops: DataFrame, ks: tuple[int, ...] = (0, 1, 2), questions: int = 8, most_ops: int | None = None, conf: EngineConf = DEFAULT, seed: int = 42) -> DataFrame:
+    """Times of questions and of each kind of operation, for plain search and for idx(k); one task a method.
+
+    After every operation `questions` pairs are drawn uniformly from the nodes there are then, the same for all methods, on
+    the same graph: the graph of plain search takes all operations as well, which costs it nothing. Rows: Q over all
+    questions, Q1, Q2, ... over the first, second, ... question after each operation, and one for each kind of
+    operation. `reached` and `answers` (a checksum in order) are what the method said; they agree between methods.
     """
-    if edges.limit(conf.local_rows + 1).count() > conf.local_rows:
-        raise ValueError("times are taken in one task, which can't hold this graph")
-    none = NO_IDS
-    rows = edges.selectExpr("1 tag", "-1L op_id", "'' kind", "src u", "dst v", f"{none} outs", f"{none} ins").union(ops.selectExpr("2", "op_id", "kind", "u", "v", "outs", "ins"))
-    methods = edges.sparkSession.createDataFrame([(-1,), *((k,) for k in ks)], "k int")
+    rows = _task_rows(edges, ops, conf)
 
     def run(key: tuple, group: pd.DataFrame) -> pd.DataFrame:
-        import random
-
-        k, rng = int(key[0]), random.Random(seed)
-        of = lambda tag: group[group["tag"] == tag]
-        ix = DynamicIndex((), zip(of(1)["u"].tolist(), of(1)["v"].astype("int64").tolist()), k=max(k, 0), seed=seed)
-        sequence = list(_rows(of(2)))[:most_ops]
-        times: dict[str, list[float]] = {}
-        expanded = 0
-        for i, (_, kind, u, v, outs, ins) in enumerate(sequence):
-            asked = queries * (i + 1) // len(sequence) - queries * i // len(sequence)
-            alive = list(ix.out) if asked else []
-            for _ in range(asked):
-                a, b = rng.choice(alive), rng.choice(alive)
-                t = time.perf_counter()
-                n = ix.raw_search(a, b)[1] if k < 0 else ix.query(a, b)[2]
-                times.setdefault("Q", []).append((time.perf_counter() - t) * 1000)
+        k, ix, graph, sequence = _replay(key, group, most_ops, seed)
+        rng, clock = random.Random(seed), time.perf_counter
+        asked, spent = [[0.0, 0] for _ in range(questions)], {}
+        expanded, said = 0, bytearray()
+        for _, kind, u, v, outs, ins in sequence:
+            graph.apply(kind, u, v, outs, ins)
+            if ix is not None:
+                n, ms = spent.get(kind, (0, 0.0))
+                spent[kind] = n + 1, ms + ix.apply(kind, u, v, outs, ins)["ms"]
+            for slot in asked if len(graph.nodes) else ():
+                a, b = graph.nodes.draw(rng), graph.nodes.draw(rng)
+                start = clock()
+                hit, n = graph.search(a, b) if ix is None else ix.query(a, b)[::2]
+                slot[0] += (clock() - start) * 1000
+                slot[1] += 1
                 expanded += n
-            if k < 0 and kind.endswith("edge"):  # plain search keeps edges only
-                for side, x, y in ((ix.out, u, v), (ix.inn, v, u)):
-                    side.setdefault(x, set()).add(y) if kind == "insert_edge" else side.get(x, set()).discard(y)
-                    side.setdefault(y, set())
-                continue
-            if k < 0:
-                continue
-            times.setdefault(kind, []).append(ix.apply(kind, u, v, outs, ins)["ms"])
+                said.append(hit)
         name = "search" if k < 0 else f"idx({k})"
-        rows = [(name, k, m, len(ts), sum(ts), sum(ts) / len(ts), expanded / len(ts) if m == "Q" else None) for m, ts in times.items()]
-        return pd.DataFrame(rows, columns=["method", "k", "measure", "n", "total_ms", "avg_ms", "expanded"])
+        total, count = sum(ms for ms, _ in asked), sum(n for _, n in asked)
+        out = [(name, k, "Q", count, total, total / max(1, count), expanded / max(1, count), sum(said), zlib.crc32(bytes(said)))]
+        out += [(name, k, f"Q{j}", n, ms, ms / max(1, n), None, None, None) for j, (ms, n) in enumerate(asked, 1)]
+        out += [(name, k, kind, n, ms, ms / n, None, None, None) for kind, (n, ms) in spent.items()]
+        frame = pd.DataFrame(out, columns=[f.split(" ")[0] for f in TIMES.split(", ")])
+        return frame.astype({"reached": "Int64", "answers": "Int64"})
 
-    return rows.crossJoin(F.broadcast(methods)).groupBy("k").applyInPandas(run, TIMES)  # a row a method
+    return rows.crossJoin(F.broadcast(_methods(edges.sparkSession, ks))).groupBy("k").applyInPandas(run, TIMES)  # a row a method
 
 
-def sweep(times: DataFrame, most: int = 8) -> DataFrame:
-    """(method, q, total_ms): cost of a sequence with q questions an operation, from averages; q = 1..most."""
-    per = times.groupBy("method").agg(
-        F.sum(F.when(F.col("measure") != "Q", F.col("total_ms"))).alias("updates"),
-        F.sum(F.when(F.col("measure") != "Q", F.col("n"))).alias("ops"),
-        F.max(F.when(F.col("measure") == "Q", F.col("avg_ms"))).alias("q_ms"),
-    )
-    ops = per.agg(F.max("ops").alias("all_ops"))
-    q = F.explode(F.sequence(F.lit(1), F.lit(most))).alias("q")
-    return per.join(F.broadcast(ops)).select("method", q, "updates", "all_ops", "q_ms").select("method", "q", (F.coalesce("updates", F.lit(0.0)) + F.col("q") * F.col("all_ops") * F.col("q_ms")).alias("total_ms"))
+def answers_of_methods(edges: DataFrame, ops: DataFrame, pairs: DataFrame, ks: tuple[int, ...] = (0, 1, 2), conf: EngineConf = DEFAULT, seed: int = 42) -> DataFrame:
+    """(method, qid, u, v, reachable): what plain search and each idx(k) say of the pairs after all operations one by one."""
+    rows = _task_rows(edges, ops, conf).union(pairs.selectExpr("3", "qid", "''", "u", "v", NONE, NONE))
+
+    def run(key: tuple, group: pd.DataFrame) -> pd.DataFrame:
+        k, ix, graph, sequence = _replay(key, group, None, seed)
+        for _, kind, u, v, outs, ins in sequence:
+            graph.apply(kind, u, v, outs, ins) if ix is None else ix.apply(kind, u, v, outs, ins)
+        asked = group[group["tag"] == 3]
+        said = [(graph.search(u, v) if ix is None else ix.query(u, v))[0] for u, v in zip(asked["u"].tolist(), asked["v"].tolist())]
+        return pd.DataFrame({"method": "search" if k < 0 else f"idx({k})", "qid": asked["op_id"], "u": asked["u"], "v": asked["v"], "reachable": said})
+
+    return rows.crossJoin(F.broadcast(_methods(edges.sparkSession, ks))).groupBy("k").applyInPandas(run, "method string, qid long, u long, v long, reachable boolean")
+
+
+def sweep(times: DataFrame) -> DataFrame:
+    """(method, q, total_ms): what the sequence took with q questions after every operation, for as many q as were asked:
+    the operations, and the first q questions after each."""
+    updates = times.where("not measure like 'Q%'").groupBy("method").agg(F.sum("total_ms").alias("updates"))
+    asked = times.where("measure rlike '^Q[0-9]+$'").select("method", F.substring("measure", 2, 9).cast("int").alias("q"), "total_ms")
+    upto = F.sum("total_ms").over(Window.partitionBy("method").orderBy("q").rowsBetween(Window.unboundedPreceding, 0))
+    return asked.withColumn("upto", upto).join(updates, "method", "left").select("method", "q", (F.coalesce("updates", F.lit(0.0)) + F.col("upto")).alias("total_ms"))
 
 
 def break_even(totals: DataFrame) -> DataFrame:

@@ -65,9 +65,9 @@ def user_steps(spark: SparkSession, d: str) -> DataFrame:
 
 
 def user_hops(spark: SparkSession, d: str) -> DataFrame:
-    """A global order of events: a fixture, with one partition for the window."""
-    e = read(spark, d, "events").select("ts", "event_id", "user_id", "event_type", "value")
-    e = e.withColumn("nxt", F.lead("user_id").over(Window.orderBy("ts", "event_id")))
+    """Each event with the one after it in the global order, joined by place."""
+    e = ordered(read(spark, d, "events").select("ts", "event_id", "user_id", "event_type", "value"), "ts", "event_id", name="place")
+    e = e.join(e.select((F.col("place") - 1).alias("place"), F.col("user_id").alias("nxt")), "place")
     return pairs(e.where("event_type = 'purchase' and value < 8 and nxt is not null and nxt <> user_id"), F.col("user_id"), F.col("nxt")).distinct()
 
 
@@ -105,16 +105,22 @@ def web_links(spark: SparkSession, d: str) -> DataFrame:
     return links(spark, d).select(F.col("url").alias("src"), F.concat(host, "href").alias("dst")).distinct()
 
 
-def intern_ids(edges: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(edges, names): dense ids by sorted key. Ranks are prefix sums over range partitions: no global window."""
-    keys = edges.select(F.col("src").alias("key")).union(edges.select("dst")).distinct()
-    ordered = keys.repartitionByRange("key").sortWithinPartitions("key").withColumns({"part": F.spark_partition_id(), "row": F.monotonically_increasing_id()})
+def ordered(rows: DataFrame, *keys: str, name: str = "rank") -> DataFrame:
+    """rows with their place, from 0, in the order of the keys: sorted ranges and a count for each, so that no window and no
+    task holds them all, however the keys cluster. Rows with equal keys fall in any order."""
     from dynreach.plans.loops import cut
 
-    ordered = cut(ordered)
-    starts = ordered.groupBy("part").agg(F.count("*").alias("n"), F.min("row").alias("first"))
-    before = F.coalesce(F.sum("n").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    names = ordered.join(F.broadcast(starts.withColumn("before", before)), "part").select("key", (F.col("before") + F.col("row") - F.col("first")).alias("node"))
+    parts = cut(rows.repartitionByRange(*keys).sortWithinPartitions(*keys).withColumns({"__part": F.spark_partition_id(), "__row": F.monotonically_increasing_id()}))
+    starts = parts.groupBy("__part").agg(F.count("*").alias("n"), F.min("__row").alias("first"))  # a row a partition
+    before = F.coalesce(F.sum("n").over(Window.orderBy("__part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    place = F.col("before") + F.col("__row") - F.col("first")
+    return parts.join(F.broadcast(starts.withColumn("before", before)), "__part").select(*rows.columns, place.cast("long").alias(name))
+
+
+def intern_ids(edges: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(edges, names): dense ids by sorted key."""
+    keys = edges.select(F.col("src").alias("key")).union(edges.select("dst")).distinct()
+    names = ordered(keys, "key", name="node")
     a, b = names.select(F.col("key").alias("src"), F.col("node").alias("a")), names.select(F.col("key").alias("dst"), F.col("node").alias("b"))
     return edges.join(a, "src").join(b, "dst").select(F.col("a").alias("src"), F.col("b").alias("dst")), names
 
@@ -152,14 +158,8 @@ def pairs_fixed(nodes: DataFrame, n: int = 200) -> DataFrame:
 
 
 def ranks(nodes: DataFrame) -> DataFrame:
-    """(node, rank): place in the order of ids, by ranges."""
-    bounds = nodes.agg(F.min("node"), F.max("node"), F.count("*")).first()
-    width = max(1, -(-(bounds[1] - bounds[0] + 1) // max(1, bounds[2] // 20_000)))
-    placed = nodes.withColumn("range", F.floor((F.col("node") - bounds[0]) / width))
-    sizes = placed.groupBy("range").agg(F.count("*").alias("n"))
-    before = sizes.select("range", F.coalesce(F.sum("n").over(Window.orderBy("range").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("before"))
-    row = F.row_number().over(Window.partitionBy("range").orderBy("node"))
-    return placed.withColumn("row", row).join(F.broadcast(before), "range").select("node", (F.col("before") + F.col("row") - 1).alias("rank"))
+    """(node, rank): place in the order of ids."""
+    return ordered(nodes.select("node"), "node")
 
 
 SQL = {

@@ -2,8 +2,8 @@
 
 The index is global state, so it is kept by `foreachBatch`: each micro-batch is one batch of the
 planner, committed as a new version with its batch id; a batch that a restart repeats is found in the
-ledger and skipped. Operations that come after the watermark are counted and set aside, never applied
-silently.
+ledger and skipped. Operations that come after the watermark are set aside, never applied silently, and the others are
+applied in order of time.
 """
 
 from __future__ import annotations
@@ -11,14 +11,17 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import pandas as pd
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StreamingQuery
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from dynreach.conf import DEFAULT, EngineConf
+from dynreach.model import OPS
 from dynreach.operators import index as I
 from dynreach.plans import batch
+from dynreach.plans.loops import cut, empty
 
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
@@ -31,38 +34,70 @@ def event_stream(spark: SparkSession, path: str, files: int = 1, pattern: str |
     return reader.parquet(path).withColumn("ts", F.col("ts").cast("timestamp"))
 
 
+TIMES = "newest timestamp_ntz, last_op long"
+
+
 def run(ops: DataFrame, path: str, checkpoint: str, late_path: str | None = None, watermark: str | None = None, conf: EngineConf = DEFAULT, mode: str = "batch") -> StreamingQuery:
-    """Applies a stream of operations to the index committed at path; stops when what is there has been read."""
+    """Applies a stream of operations to the index committed at path; stops when what is there has been read.
+
+    With a watermark, operations are put in order of time: those newer than the newest time seen less the watermark wait for
+    a later batch (`flush` applies what waits at the end), and those older than what has been applied are late: they are
+    written below late_path and never applied. Without one, operations must come in order of op_id over batches, or
+    the stream fails. Everything a batch writes is named by its id, so a batch that is repeated writes the same again.
+    """
 
     def step(rows: DataFrame, batch_id: int) -> None:
         spark = rows.sparkSession
-        ledger = I.versions(spark, path)
-        if ledger.where(F.col("batch_id") == batch_id).limit(1).count():
+        if I.versions(spark, path).where(F.col("batch_id") == batch_id).limit(1).count():
             return
-        current = I.load(spark, path)
-        if watermark is not None:
-            newest = ledger_time(spark, path)
-            late = rows.where(F.col("ts") < F.lit(newest) - F.expr(f"interval {watermark}")) if newest is not None else rows.limit(0)
+        current, rows = I.load(spark, path), cut(rows)
+        seen = _before(spark, f"{path}/times", TIMES, batch_id).agg(F.max("newest"), F.max("last_op")).first()
+        here = rows.agg(F.max("ts"), F.min("op_id"), F.max("op_id")).first()
+        newest = max((t for t in (seen[0], here[0]) if t is not None), default=None)
+        if watermark is None:
+            if seen[1] is not None and here[1] is not None and here[1] <= seen[1]:
+                raise ValueError(f"operation {here[1]} comes after {seen[1]} was applied; give a watermark")
+            ready = rows
+        else:
+            behind = lambda t: F.lit(t).cast("timestamp_ntz") - F.expr(f"interval {watermark}")
+            late = F.coalesce(F.col("ts") < behind(seen[0]), F.lit(False))
             if late_path:
-                late.withColumn("batch_id", F.lit(batch_id)).write.mode("append").parquet(late_path)
-            rows = rows.exceptAll(late)
-            top = rows.agg(F.max("ts")).first()[0]
-            if top is not None:
-                spark.createDataFrame([(top,)], "newest timestamp_ntz").coalesce(1).write.mode("append").parquet(f"{path}/times")
-        I.commit(batch.apply(current, rows, mode, conf), path, batch_id)
+                rows.where(late).write.mode("overwrite").parquet(f"{late_path}/batch_id={batch_id}")
+            waiting = _last(spark, f"{path}/waiting", OPS, batch_id)
+            open_ = cut(waiting.unionByName(rows.where(~late).select(*waiting.columns)))
+            due = F.coalesce(F.col("ts") < behind(newest), F.lit(False))
+            ready = open_.where(due)
+            open_.where(~due).write.mode("overwrite").parquet(f"{path}/waiting/batch_id={batch_id}")
+        spark.createDataFrame([(newest, max((x for x in (seen[1], here[2]) if x is not None), default=None))], TIMES).coalesce(1).write.mode("overwrite").parquet(f"{path}/times/batch_id={batch_id}")
+        I.commit(batch.apply(current, ready, mode, conf), path, batch_id)
 
     return ops.writeStream.foreachBatch(step).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 
 
-def ledger_time(spark: SparkSession, path: str):
+def flush(spark: SparkSession, path: str, conf: EngineConf = DEFAULT, mode: str = "batch") -> None:
+    """Applies the operations that still wait, when no more will come."""
+    last = I.versions(spark, path).agg(F.max("batch_id")).first()[0]
+    waiting = _last(spark, f"{path}/waiting", OPS, last + 1)
+    if not empty(waiting):
+        I.commit(batch.apply(I.load(spark, path), waiting, mode, conf), path, last + 1)
+
+
+def _before(spark: SparkSession, path: str, schema: str, batch_id: int) -> DataFrame:
+    """Rows that batches before this one wrote."""
     try:
-        return spark.read.schema("newest timestamp_ntz").parquet(f"{path}/times").agg(F.max("newest")).first()[0]
-    except Exception as e:  # no batch has been committed yet
+        return spark.read.schema(f"{schema}, batch_id long").parquet(path).where(F.col("batch_id") < batch_id)
+    except AnalysisException as e:  # no batch has written yet
         if "PATH_NOT_FOUND" in str(e):
-            return None
+            return spark.createDataFrame([], f"{schema}, batch_id long")
         raise
 
 
+def _last(spark: SparkSession, path: str, schema: str, batch_id: int) -> DataFrame:
+    rows = _before(spark, path, schema, batch_id)
+    newest = I.versions(spark, path.rsplit("/", 1)[0]).where(F.col("batch_id") < batch_id).agg(F.max("batch_id")).first()[0]
+    return rows.where(F.col("batch_id") == F.lit(newest)).drop("batch_id")
+
+
 def tumbling(events: DataFrame, width: str = "1 day", late: str = "1 day") -> DataFrame:
     w = events.withWatermark("ts", late).groupBy(F.window("ts", width), "event_type")
     return w.agg(F.count("*").alias("n")).select(F.col("window.start").cast("timestamp_ntz").alias("start"), "event_type", "n")

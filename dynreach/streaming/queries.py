@@ -7,8 +7,11 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from dynreach.conf import EngineConf
+from dynreach.model import OPS
 from dynreach.operators import index as I
-from dynreach.plans.loops import ensure_checkpoint_dir
+from dynreach.plans import batch
+from dynreach.plans.loops import cut, ensure_checkpoint_dir
 from dynreach.streaming import operations as S
 
 
@@ -62,26 +65,58 @@ def stream_join(spark, d):
     return finished(S.purchases_after_views(e.where("event_type = 'purchase'"), events(spark, d).where("event_type = 'view'")), "append")
 
 
+def _written(ops: DataFrame, chunk, chunks: int, path: str) -> DataFrame:
+    """The operations as a stream of files, a chunk after the other and each a micro-batch."""
+    kept = cut(ops.withColumn("chunk", chunk))
+    for i in range(chunks):
+        kept.where(F.col("chunk") == i).drop("chunk").coalesce(1).write.mode("append").parquet(path)
+    return ops.sparkSession.readStream.schema(ops.schema).option("maxFilesPerTrigger", 1).parquet(path)
+
+
 def index_after_stream(spark, d):
-    """Operations on user states as a stream of files into a committed index; the edges it ends with."""
+    """Operations on user states in three micro-batches onto an index that starts with the first tenth; the edges it ends with."""
     from dynreach.plans.workload import ops_events
 
-    base, root = spark.createDataFrame([], "src long, dst long"), folder(spark)
-    ops = ops_events(spark, d)
-    ops.repartitionByRange(3, "op_id").sortWithinPartitions("op_id").write.parquet(f"{root}/ops")
-    I.commit(I.build(base), f"{root}/index")
-    stream = spark.readStream.schema(ops.schema).option("maxFilesPerTrigger", 3).parquet(f"{root}/ops")
-    S.run(stream, f"{root}/index", f"{root}/checkpoint").awaitTermination()
+    root, ops = folder(spark), cut(ops_events(spark, d))
+    top = ops.agg(F.max("op_id")).first()[0] or 0
+    first = F.col("op_id") <= top // 10
+    nothing = spark.createDataFrame([], "src long, dst long")
+    I.commit(batch.apply(I.build(nothing), ops.where(first)), f"{root}/index")
+    stream = _written(ops.where(~first), F.least(F.lit(2), F.floor((F.col("op_id") - top // 10) * 3 / (top + 1 - top // 10))), 3, f"{root}/ops")
+    S.run(stream, f"{root}/index", f"{root}/checkpoint", conf=EngineConf(rebuild_ratio=100.0)).awaitTermination()
+    done = I.versions(spark, f"{root}/index").where("batch_id >= 0").count()
+    if done != 3:
+        raise AssertionError(f"{done} micro-batches instead of 3")
     return I.load(spark, f"{root}/index").edges.select("src", "dst")
 
 
+CHUNKS, BEHIND = 4, "30 days"
+
+
+def _disordered(spark, d):
+    """Operations in four micro-batches, each over the whole time: most of the later ones are late. (final edges, late operations)."""
+    from dynreach.plans.workload import ops_events
+    from dynreach.registry import kept
+
+    def make():
+        root, ops = folder(spark), ops_events(spark, d)
+        I.commit(I.build(spark.createDataFrame([], "src long, dst long")), f"{root}/index")
+        stream = _written(ops, F.pmod(F.floor(F.col("op_id") / 7), F.lit(CHUNKS)), CHUNKS, f"{root}/ops")
+        S.run(stream, f"{root}/index", f"{root}/checkpoint", f"{root}/late", BEHIND, EngineConf(rebuild_ratio=100.0)).awaitTermination()
+        S.flush(spark, f"{root}/index")
+        return I.load(spark, f"{root}/index").edges.select("src", "dst"), spark.read.schema(f"{OPS}, batch_id long").parquet(f"{root}/late")
+
+    return kept(spark, (d, "disordered"), make)
+
+
 def late(spark, d):
-    """Events that a replay in order of id brings past a day's watermark of the newest ts: counted by type."""
-    from pyspark.sql import Window
+    """Operations that came after the watermark, counted by kind from the side table that the stream wrote."""
+    return _disordered(spark, d)[1].groupBy("kind").agg(F.count("*").alias("n"))
+
 
-    e = spark.read.parquet(f"{d}/events.parquet")
-    newest = F.max("ts").over(Window.orderBy("event_id").rowsBetween(Window.unboundedPreceding, -1))
-    return e.withColumn("newest", newest).where(F.col("ts") < F.col("newest") - F.expr("interval 1 day")).groupBy("event_type").agg(F.count("*").alias("n"))
+def in_order(spark, d):
+    """The edges after the operations that were not late, whatever order they came in."""
+    return _disordered(spark, d)[0]
 
 
 def _events_sql() -> str:
@@ -100,7 +135,6 @@ ENTRIES: dict[str, tuple] = {
     "stream_dedup": (deduplicated, "select event_type, count(*) n from (select distinct user_id, (props->>'$.k')::int k, event_type from events) group by 1"),
     "stream_net_edge": (net_edges, "select user_id u, (props->>'$.k')::bigint % 5 v, arg_max(case when event_type = 'view' then 'insert_edge' else 'delete_edge' end, event_id) kind, max(event_id) op_id from events where event_type in ('view', 'purchase') group by 1, 2"),
     "stream_stream_join": (stream_join, "select p.event_id purchase, v.event_id as \"view\" from events p join events v on v.user_id = p.user_id and v.ts <= p.ts and v.ts >= p.ts - interval 1 hour where p.event_type = 'purchase' and v.event_type = 'view'"),
-    "stream_late": (late, "select event_type, count(*) n from (select *, max(ts) over (order by event_id rows between unbounded preceding and 1 preceding) m from events) where ts < m - interval 1 day group by 1"),
 }
 
 
@@ -109,4 +143,11 @@ def complete() -> None:
     from dynreach import registry as R
 
     ENTRIES["stream_static_join"] = (static_join, R.with_graph("user_hops", R.COMPS + " select event_id, comp from events left join m on node = user_id"))
+    # a micro-batch sees the newest time of the batches before it
+    op = "op as (select row_number() over (order by ts, event_id) - 1 op_id, ts, kind, u, v from (select event_id, ts, kind, case kind when 'insert_edge' then p when 'delete_edge' then pp else st end u, case kind when 'insert_edge' then st when 'delete_edge' then p end v from kinds) where kind is not null and u is not null and (v is not null or kind = 'delete_node'))"
+    kinds = R.EVENTS.split(", raw as")[0] + ", kinds as (select *, case when event_type in ('view','click','signup') then 'insert_edge' when event_type='purchase' then 'delete_edge' when event_type='error' and value < 2 then 'delete_node' end kind from sp)"
+    marked = f"{kinds}, {op}, ch as (select *, (op_id // 7) % {CHUNKS} c from op), tops as (select c, max(ts) t from ch group by 1), lt as (select ch.*, coalesce(ts < (select max(t) from tops where tops.c < ch.c) - interval {BEHIND}, false) late from ch)"
+    kept = "ins as (select op_id, u src, v dst from lt where kind='insert_edge' and not late), del as (select op_id, u src, v dst from lt where kind='delete_edge' and not late), kill as (select op_id, u node from lt where kind='delete_node' and not late), born as (select op_id, u node from lt where false)"
+    ENTRIES["stream_late"] = (late, f"with {marked} select kind, count(*) n from lt where late group by 1")
+    ENTRIES["stream_in_order_final_state"] = (in_order, R.final_sql("select 0 src, 0 dst where false", f"{marked}, {kept}", R.STATE))
     ENTRIES["w_stream_final_state"] = (index_after_stream, _events_sql())
