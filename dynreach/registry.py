@@ -7,8 +7,8 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from dynreach.conf import DEFAULT
-from dynreach.model import Index
+from dynreach.conf import DEFAULT, EngineConf
+from dynreach.model import OPS, Index
 from dynreach.operators import baselines as B
 from dynreach.operators import condense, containment as C, generators as GEN, index as I, labels as L, measures as M, query as Q, scc, updates as U
 from dynreach.plans import batch, relational, workload as W
@@ -212,6 +212,25 @@ def _links_reach(s: SparkSession, d: str) -> DataFrame:
 
 add("w_links_reach", _links_reach, f"with recursive l as ({G.SQL['web_links']}), k as materialized (select key, row_number() over (order by key) - 1 node from (select src key from l union select dst from l)), e as materialized (select a.node src, b.node dst from l join k a on a.key = l.src join k b on b.key = l.dst), n as ({G.sql_nodes()}), " + reach(G.sql_pairs()))
 
+# ids that floats can't hold
+
+LARGE_ID = 2**62 + 1
+
+
+def _large(s: SparkSession, d: str) -> DataFrame:
+    return kept(s, (d, "large"), lambda: cut(edges(s, d, "part_hops").select((F.col("src") + LARGE_ID).alias("src"), (F.col("dst") + LARGE_ID).alias("dst"))))
+
+
+def _large_index(s: SparkSession, d: str) -> Index:
+    return kept(s, (d, "large", "index"), lambda: I.build(_large(s, d), k=2))
+
+
+_LARGE_SQL = f"with recursive e as materialized (select src + {LARGE_ID} src, dst + {LARGE_ID} dst from ({G.sql_edges('part_hops')})), n as materialized ({G.sql_nodes()}), "
+add("large_ids_reach", lambda s, d: Q.reach_batch(_large_index(s, d), G.pairs_fixed(_large_index(s, d).nodes)).select(*ANSWER), _LARGE_SQL + reach(G.sql_pairs()))
+add("large_ids_search", lambda s, d: B.search(_large(s, d), G.pairs_fixed(_large_index(s, d).nodes)).select(*ANSWER), _LARGE_SQL + reach(G.sql_pairs()))
+add("large_ids_scc", lambda s, d: _large_index(s, d).membership, _LARGE_SQL + COMPS + " select node, comp from m")
+add("large_ids_labels_hold", lambda s, d: L.violations(_large_index(s, d).labels, _large_index(s, d).dag_edges).agg(F.count("*").alias("broken")), "select 0::bigint broken")
+
 # updates: the operations as SQL, and what they leave
 
 SYNTH = (
@@ -235,7 +254,7 @@ WIKI = (
 WIKI_BASE = "select l_orderkey*8 src, l_partkey*8+1 dst from lineitem where l_quantity <= 40 and l_shipdate < (select quantile_disc(l_shipdate, 0.95) from lineitem) union select l_partkey*8+1, l_orderkey*8 from lineitem where l_returnflag='R' and l_discount >= 0.095 and l_shipdate < (select quantile_disc(l_shipdate, 0.95) from lineitem)"
 EVENTS = (
     "st as (select *, user_id*100 + (props->>'$.k')::bigint st from events), sp as (select *, lag(st) over w p, lag(st, 2) over w pp from st window w as (partition by user_id order by ts, event_id)), "
-    "raw as materialized (select epoch_us(ts) * 1000 + event_id % 1000 op_id, case when event_type in ('view','click','signup') then 'insert_edge' when event_type='purchase' then 'delete_edge' when event_type='error' and value < 2 then 'delete_node' end kind, st, p, pp from sp), "
+    "raw as materialized (select row_number() over (order by ts, event_id) op_id, case when event_type in ('view','click','signup') then 'insert_edge' when event_type='purchase' then 'delete_edge' when event_type='error' and value < 2 then 'delete_node' end kind, st, p, pp from sp), "
     "ins as (select op_id, p src, st dst from raw where kind='insert_edge' and p is not null), del as (select op_id, pp src, p dst from raw where kind='delete_edge' and pp is not null and p is not null), kill as (select op_id, st node from raw where kind='delete_node'), born as (select op_id, st node from raw where false)"
 )
 FINAL = (
@@ -311,6 +330,8 @@ for _n in (10, 100, 1000):
 for _mode in ("sequential", "rebuild"):
     add(f"batch_{_mode}", lambda s, d, mode=_mode: synth(s, d, "part_hops", 100, mode).membership, synth_sql("part_hops", 100, FINAL_COMPS + " select node, comp from m"))
 FINAL_DAG = DAG.replace("from e join", "from fe join")
+for _name, _mode in (("batch", "auto"), ("sequential", "sequential")):
+    add(f"large_ids_{_name}", lambda s, d, mode=_mode: updated(s, d, "large-ids", lambda: _large(s, d), lambda: GEN.update_sequence(_large(s, d), 100), mode).membership, final_sql(f"select src + {LARGE_ID} src, dst + {LARGE_ID} dst from ({G.sql_edges('part_hops')})", SYNTH.format(n=100), FINAL_COMPS + " select node, comp from m"))
 add("rebuild_equals_incremental", lambda s, d: synth(s, d, "part_hops", 100).dag_edges, synth_sql("part_hops", 100, f"{FINAL_COMPS}, {FINAL_DAG} select s, t, mult from dag"))
 
 
@@ -338,23 +359,39 @@ def _numbered(s, d):
     return GEN.edge_ranks(edges(s, d, "user_hops"))
 
 
+#: Batches that never rebuild, in one task where they fit or by sets alone, and the ways to decompose.
+STEPS, SETS = EngineConf(rebuild_ratio=100.0), EngineConf(rebuild_ratio=100.0, local_rows=0)
+NAIVE, EXTRACT = EngineConf(rebuild_ratio=100.0, split="naive"), EngineConf(rebuild_ratio=100.0, split="extract")
+
+
+def _changed(s, d, name, change) -> Index:
+    ix = kept(s, (d, "after", name), lambda: change(index(s, d, "user_hops", 2)))
+    if ix.facts["rebuilt"]:
+        raise AssertionError("the index was rebuilt instead of changed")
+    return ix
+
+
 def _after(s, d, name, change) -> DataFrame:
-    return answers_after(kept(s, (d, "after", name), lambda: change(index(s, d, "user_hops", 2))))
+    return answers_after(_changed(s, d, name, change))
 
 
 _PLACES = "ee as (select src, dst, row_number() over (order by dst, src) - 1 place from e)"
 _NIL = "select 0::bigint op_id, 0::bigint src, 0::bigint dst where false"
-add("insert_edges_then_reach", lambda s, d: _after(s, d, "ei", lambda ix: U.insert_edges(ix, asked(s, d, "user_hops", 40).select("u", "v"))), _kind_sql(f"ins as (select 0::bigint op_id, u src, v dst from ({_UH_PAIRS})), del as ({_NIL}), {_NO}"))
-add("batch_inserts_then_reach", lambda s, d: _after(s, d, "ei2", lambda ix: U.insert_edges(ix, asked(s, d, "user_hops", 40).select("u", "v"), conf=DEFAULT)), _kind_sql(f"ins as (select 0::bigint op_id, u src, v dst from ({_UH_PAIRS})), del as ({_NIL}), {_NO}"))
-add("delete_edges_then_reach", lambda s, d: _after(s, d, "ed", lambda ix: U.delete_edges(ix, _numbered(s, d).where("place % 6 = 0").select(F.col("src").alias("u"), F.col("dst").alias("v")))), _kind_sql(f"{_PLACES}, ins as ({_NIL}), del as (select 0::bigint op_id, src, dst from ee where place % 6 = 0), {_NO}"))
-add("split_naive", lambda s, d: kept(s, (d, "after", "ed"), lambda: U.delete_edges(index(s, d, "user_hops", 2), _numbered(s, d).where("place % 6 = 0").select(F.col("src").alias("u"), F.col("dst").alias("v")))).membership, final_sql(G.SQL["user_hops"], f"{_PLACES}, ins as ({_NIL}), del as (select 0::bigint op_id, src, dst from ee where place % 6 = 0), {_NO}", FINAL_COMPS + " select node, comp from m"))
-add("insert_nodes_then_reach", lambda s, d: _after(s, d, "ni", lambda ix: U.insert_nodes(ix, _numbered(s, d).where("place % 10 = 0").select((F.col("place") + 1_000_000).alias("u"), F.array("dst").alias("outs"), F.array("src").alias("ins")))), _kind_sql(f"{_PLACES}, ins as (select 0::bigint op_id, place + 1000000 src, dst from ee where place % 10 = 0 union all select 0, src, place + 1000000 from ee where place % 10 = 0), del as ({_NIL}), kill as (select 0::bigint op_id, 0::bigint node where false), born as (select 0::bigint op_id, place + 1000000 node from ee where place % 10 = 0)"))
-add("delete_nodes_then_reach", lambda s, d: _after(s, d, "nd", lambda ix: U.delete_nodes(ix, ix.nodes.where("node % 8 = 0").select(F.col("node").alias("u")))), _kind_sql(f"ins as ({_NIL}), del as ({_NIL}), kill as (select 0::bigint op_id, node from n where node % 8 = 0), born as (select 0::bigint op_id, 0::bigint node where false)"))
+add("insert_edges_then_reach", lambda s, d: _after(s, d, "ei", lambda ix: U.insert_edges(ix, asked(s, d, "user_hops", 40).select("u", "v"), conf=STEPS)), _kind_sql(f"ins as (select 0::bigint op_id, u src, v dst from ({_UH_PAIRS})), del as ({_NIL}), {_NO}"))
+add("insert_edges_by_sets_then_reach", lambda s, d: _after(s, d, "ei2", lambda ix: U.insert_edges(ix, asked(s, d, "user_hops", 40).select("u", "v"), conf=SETS)), _kind_sql(f"ins as (select 0::bigint op_id, u src, v dst from ({_UH_PAIRS})), del as ({_NIL}), {_NO}"))
+for _name, _conf in (("", STEPS), ("_by_sets", SETS), ("_naive", NAIVE), ("_extract", EXTRACT)):
+    _cut = lambda s, d, name=_name, conf=_conf: _changed(s, d, "ed" + name, lambda ix: U.delete_edges(ix, _numbered(s, d).where("place % 6 = 0").select(F.col("src").alias("u"), F.col("dst").alias("v")), conf=conf))
+    add(f"delete_edges{_name}_then_reach", lambda s, d, cut_=_cut: answers_after(cut_(s, d)), _kind_sql(f"{_PLACES}, ins as ({_NIL}), del as (select 0::bigint op_id, src, dst from ee where place % 6 = 0), {_NO}"))
+    for _what, _sql in (("membership", " select node, comp from m"), ("dag_edges", ", " + FINAL_DAG + " select s, t, mult from dag")):
+        add(f"split{_name}_{_what}", lambda s, d, cut_=_cut, what=_what: getattr(cut_(s, d), what), final_sql(G.SQL["user_hops"], f"{_PLACES}, ins as ({_NIL}), del as (select 0::bigint op_id, src, dst from ee where place % 6 = 0), {_NO}", FINAL_COMPS + _sql))
+    add(f"split{_name}_labels_hold", lambda s, d, cut_=_cut: L.violations(cut_(s, d).labels, cut_(s, d).dag_edges).agg(F.count("*").alias("broken")), "select 0::bigint broken")
+add("insert_nodes_then_reach", lambda s, d: _after(s, d, "ni", lambda ix: U.insert_nodes(ix, _numbered(s, d).where("place % 10 = 0").select((F.col("place") + 1_000_000).alias("u"), F.array("dst").alias("outs"), F.array("src").alias("ins")), conf=STEPS)), _kind_sql(f"{_PLACES}, ins as (select 0::bigint op_id, place + 1000000 src, dst from ee where place % 10 = 0 union all select 0, src, place + 1000000 from ee where place % 10 = 0), del as ({_NIL}), kill as (select 0::bigint op_id, 0::bigint node where false), born as (select 0::bigint op_id, place + 1000000 node from ee where place % 10 = 0)"))
+add("delete_nodes_then_reach", lambda s, d: _after(s, d, "nd", lambda ix: U.delete_nodes(ix, ix.nodes.where("node % 8 = 0").select(F.col("node").alias("u")), conf=STEPS)), _kind_sql(f"ins as ({_NIL}), del as ({_NIL}), kill as (select 0::bigint op_id, node from n where node % 8 = 0), born as (select 0::bigint op_id, 0::bigint node where false)"))
 
 
 def _as_of(s: SparkSession, d: str) -> DataFrame:
     first = index(s, d, "user_hops", 2)
-    later = kept(s, (d, "after", "nd"), lambda: U.delete_nodes(first, first.nodes.where("node % 8 = 0").select(F.col("node").alias("u"))))
+    later = kept(s, (d, "after", "nd"), lambda: U.delete_nodes(first, first.nodes.where("node % 8 = 0").select(F.col("node").alias("u")), conf=STEPS))
     p = asked(s, d, "user_hops").withColumn("op_id", F.when(F.col("qid") % 2 == 0, 0).otherwise(5))
     return Q.reach_as_of({0: first, 5: later}, p).select(*ANSWER)
 
@@ -390,7 +427,7 @@ def _stepwise(s: SparkSession, d: str, ops: list[tuple]) -> Index:
     """One batch an operation, so that merges and splits happen in turn."""
     ix = index(s, d, "example_graph", 2)
     for op in ops:
-        ix = batch.apply(ix, example_ops(s, [op]), conf=type(DEFAULT)(rebuild_ratio=1.0))
+        ix = batch.apply(ix, example_ops(s, [op]), conf=STEPS)
     return ix
 
 
@@ -401,6 +438,13 @@ add(
     lambda s, d: U.sequential(index(s, d, "example_graph").nodes, edges(s, d, "example_graph"), example_ops(s, _CASES), 2)[0].select("op_id", "kind", "case"),
     "select * from (values (0::bigint, 'insert_edge', 'I0'), (1, 'insert_edge', 'I1'), (2, 'insert_edge', 'I2'), (3, 'insert_edge', 'I4'), (4, 'insert_edge', 'I5'), (5, 'delete_edge', 'D0'), (6, 'delete_edge', 'D3'), (7, 'delete_edge', 'D1'), (8, 'delete_edge', 'D4'), (9, 'delete_edge', 'D4')) x(op_id, kind, \"case\")",
 )
+# a covered pair gets its first edge, which is also the last to go; nodes come, come again and go
+_MORE_CASES = [("insert_edge", 17, 12, None), ("delete_edge", 17, 12, None), ("insert_node", 30, None, [17, 3]), ("insert_node", 30, None, [0]), ("delete_node", 30, None, None), ("delete_node", 30, None, None), ("delete_edge", 0, 30, None)]
+add(
+    "update_cases_nodes_example",
+    lambda s, d: U.sequential(index(s, d, "example_graph").nodes, edges(s, d, "example_graph"), s.createDataFrame([(i, None, kind, u, v, outs, None) for i, (kind, u, v, outs) in enumerate(_MORE_CASES)], OPS), 2)[0].select("op_id", "kind", "case"),
+    "select * from (values (0::bigint, 'insert_edge', 'I3'), (1, 'delete_edge', 'D2'), (2, 'insert_node', 'N0'), (3, 'insert_node', 'N1'), (4, 'delete_node', 'N2'), (5, 'delete_node', 'D0'), (6, 'delete_edge', 'D0')) x(op_id, kind, \"case\")",
+)
 for _name, _modes in (("two_phase", {}), ("fixpoint", {"propagate": "fixpoint"}), ("unordered", {"propagate": "unordered"}), ("naive_split", {"split": "naive"}), ("shrink", {"shrink": True})):
     add(
         f"sequential_{_name}",
@@ -442,7 +486,7 @@ add("query_expansion", lambda s, d: M.expansion(Q.reach_batch(index(s, d, "part_
 def _times(s: SparkSession, d: str, name: str = "uniform") -> DataFrame:
     def make():
         base, ops = W.WORKLOADS[name](s, d)
-        return cut(W.op_times(base, ops))
+        return cut(W.op_times(cut(base), cut(ops)))
 
     return kept(s, (d, "times", name), make)
 
@@ -451,6 +495,24 @@ for _name in W.WORKLOADS:
     add(f"w_op_times_{_name}", lambda s, d, name=_name: _times(s, d, name))
     add(f"w_qpu_sweep_{_name}", lambda s, d, name=_name: W.sweep(_times(s, d, name)))
     add(f"w_break_even_{_name}", lambda s, d, name=_name: W.break_even(W.sweep(_times(s, d, name))))
+    # all methods are asked the same questions on the same graph after each operation, and give the same answers
+    add(f"w_methods_agree_{_name}", lambda s, d, name=_name: _times(s, d, name).where("measure = 'Q'").agg(F.count("*").alias("methods"), F.count_distinct("answers", "reached", "n").alias("answers"), F.min(F.col("reached") > 0).alias("some_reach")), "select 4::bigint methods, 1::bigint answers, true some_reach")
+
+
+def _answers(s: SparkSession, d: str, name: str) -> DataFrame:
+    base, ops = _SEQUENCES[name][0](s, d)
+    there, _ = batch.final_state(G.nodes_of(base), base, ops)
+    return W.answers_of_methods(base, ops, G.pairs_fixed(cut(there), 100)).select("method", *ANSWER)
+
+
+_SEQUENCES = {
+    "wiki_like": (W.ops_wiki_like, lambda rest: final_sql(WIKI_BASE, WIKI, rest)),
+    "citation": (W.ops_citation, lambda rest: final_sql(CITE_BASE, CITE, rest)),
+    "uniform": (lambda s, d: (edges(s, d, "uniform_pairs"), GEN.update_sequence(edges(s, d, "uniform_pairs"), 1000)), lambda rest: synth_sql("uniform_pairs", 1000, rest)),
+    "hub": (lambda s, d: (edges(s, d, "goods_flow"), GEN.update_sequence(edges(s, d, "goods_flow"), 1000)), lambda rest: synth_sql("goods_flow", 1000, rest)),
+}
+for _name in _SEQUENCES:
+    add(f"w_answers_{_name}", lambda s, d, name=_name: _answers(s, d, name), _SEQUENCES[_name][1](REACH_FINAL + " cross join (values ('search'), ('idx(0)'), ('idx(1)'), ('idx(2)')) methods(method)").replace("select p.qid, p.u", "select method, p.qid, p.u"))
 add("op_log_cases", lambda s, d: M.cases(U.sequential(index(s, d, "part_hops").nodes, edges(s, d, "part_hops"), GEN.update_sequence(edges(s, d, "part_hops"), 100), 1)[0]))
 add("sql_reach_view", lambda s, d: _sql_view(s, d), with_graph("part_hops", COMPS + " select comp, count(*) size from m group by 1 having count(*) > 1"))
 

@@ -1,6 +1,7 @@
 """Runs queries() against oracle_sql() as the driver does: rows, columns and values, order aside."""
 
 import math
+import os
 import sys
 
 import duckdb
@@ -52,7 +53,7 @@ if __name__ == "__main__":
     import __spark_entry__ as E
 
     sf_dir, names = sys.argv[1], sys.argv[2:]
-    spark = SparkSession.builder.master("local[8]").config("spark.sql.shuffle.partitions", "8").config("spark.ui.enabled", "false").config("spark.driver.memory", "8g").config("spark.sql.session.timeZone", "UTC").config("spark.ui.showConsoleProgress", "false").getOrCreate()
+    spark = SparkSession.builder.master(f"local[{os.environ.get('ORACLE_CPUS', 8)}]").config("spark.sql.shuffle.partitions", "8").config("spark.ui.enabled", "false").config("spark.driver.memory", "8g").config("spark.sql.session.timeZone", "UTC").config("spark.ui.showConsoleProgress", "false").getOrCreate()
     spark.sparkContext.setLogLevel("OFF")
     con, q, o = connect(sf_dir), E.queries(), E.oracle_sql()
     for name in q:
