@@ -20,31 +20,47 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
-#: Entries that a worker keeps before it starts its table of units anew, and the longest kept.
-CACHE_UNITS, CACHE_CHARS, GROUP_CHARS = 1_500_000, 64, 8_000_000
+from dynreach.llm.common import give_back
+
+#: Bytes of units that a worker keeps (by estimate, UNIT_BYTES for each besides its own), the longest unit kept,
+#: and the characters encoded at a time.
+CACHE_BYTES, UNIT_BYTES, CACHE_CHARS, GROUP_CHARS, LEARN_UNITS = 384 << 20, 220, 64, 1_000_000, 3_000
+#: Rows that a worker takes from a batch at a time, and pieces that it holds before it hands them over.
+SLICE_ROWS, FLUSH_PIECES = 500, 1024
 
 
 class Encoder:
     """Ids of whole texts as little-endian 32-bit bytes, by the tokenizers library.
 
     A byte-level pattern always parts before a blank that precedes a non-blank, so texts are
-    cut there, each distinct unit is encoded once, and the units' ids are joined.
+    cut there, units are encoded once while they are kept, and their ids are joined. What is kept takes
+    cache_bytes at most besides the units of one group of GROUP_CHARS characters; beyond that only units of the group at hand stay.
     """
 
-    def __init__(self, path: str, cache_units: int = CACHE_UNITS):
+    def __init__(self, path: str, cache_bytes: int = CACHE_BYTES):
         from tokenizers import Tokenizer
 
-        self.tokenizer, self.cache_units = Tokenizer.from_file(path), cache_units
+        self.tokenizer, self.cache_bytes, self.held = Tokenizer.from_file(path), cache_bytes, 0
         self.special = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
         self.boundary, self.irregular = re.compile(" (?=\\S)"), re.compile(" (?!\\S)")
         self.kept: dict[str, dict[str, bytes]] = {"": {}, " ": {}}
 
     def learn(self, units: list[str], lead: str, into: dict[str, bytes]) -> None:
-        for k in range(0, len(units), 50_000):
-            part = units[k : k + 50_000]
+        for k in range(0, len(units), LEARN_UNITS):
+            part = units[k : k + LEARN_UNITS]
             for u, e in zip(part, self.tokenizer.encode_batch_fast([lead + u for u in part], add_special_tokens=False)):
-                ids = e.ids
-                into[u] = b"".join([i.to_bytes(4, "little") for i in ids])
+                ids = b"".join([i.to_bytes(4, "little") for i in e.ids])
+                into[u] = ids
+                self.held += self.taken(u, ids)
+
+    @staticmethod
+    def taken(unit: str, ids: bytes) -> int:
+        return UNIT_BYTES + len(unit) * (1 if unit.isascii() else 4) + len(ids)
+
+    def clear(self) -> None:
+        for kept in self.kept.values():
+            kept.clear()
+        self.held = 0
 
     def encode(self, texts: list[str | None]) -> Iterator[bytes]:
         group, held = [], 0
@@ -69,9 +85,6 @@ class Encoder:
         long = {}
         for lead, kept in self.kept.items():
             missing = new[lead].difference(kept)
-            if len(kept) + len(missing) > self.cache_units:
-                kept.clear()
-                missing = new[lead]
             long[lead] = [u for u in missing if len(u) > CACHE_CHARS]
             self.learn(list(missing), lead, kept)
         first, later = self.kept[""], self.kept[" "].__getitem__
@@ -79,7 +92,12 @@ class Encoder:
             yield first[head] + b"".join(map(later, rest))
         for lead, kept in self.kept.items():
             for u in long[lead]:
-                kept.pop(u, None)
+                self.held -= self.taken(u, kept.pop(u))
+        if self.held > self.cache_bytes:
+            self.kept = {lead: {u: kept[u] for u in new[lead] if u in kept} for lead, kept in self.kept.items()}
+            self.held = sum(self.taken(u, ids) for kept in self.kept.values() for u, ids in kept.items())
+            if self.held > self.cache_bytes:
+                self.clear()
 
 
 class OpenBins:
@@ -131,42 +149,67 @@ def pack(
     end_id: int = 2,
     path: str | None = None,
     with_ids: bool = False,
-    cache_units: int = CACHE_UNITS,
+    with_row: bool = False,
+    cache_bytes: int = CACHE_BYTES,
+    shared: bool = False,
 ) -> DataFrame:
-    """One row per piece: id, piece, start, length, ids_crc32, sequence_id, offset [, ids as binary]."""
+    """One row per piece: id, piece, start, length, ids_crc32, sequence_id, offset [, ids as binary] [, row_id].
+
+    row_id is a number of the document's row, so that copies of a document can be told apart. shared: a worker frees
+    its units when a task ends, as it runs other operators too; by itself it keeps them for its next task.
+    """
     if path is None:
         import public_tokenizers
 
         path = public_tokenizers.path("byte_bpe_50k.json")
     end = end_id.to_bytes(4, "little")
-    names = [id_col, "piece", "start", "length", "ids_crc32", "sequence_id", "offset"] + ["ids"] * with_ids
-    id_type = docs.schema[id_col].dataType
+    kinds = {"piece": "int", "start": "long", "length": "long", "ids_crc32": "long", "sequence_id": "long", "offset": "long"}
+    kinds |= {"ids": "binary"} if with_ids else {}
+    kinds |= {"row_id": "long"} if with_row else {}
+    arrow = {"int": pa.int32(), "long": pa.int64(), "binary": pa.binary()}
+    schema = f"`{id_col}` {docs.schema[id_col].dataType.simpleString()}, " + ", ".join(f"{n} {k}" for n, k in kinds.items())
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = _encoder(path, cache_units)
-        bins, base = OpenBins(capacity, open_bins), TaskContext.get().partitionId() << 36
-        for batch in batches:
-            source, out = [], [[] for _ in names[1:]]
-            for row, ids in enumerate(encoder.encode(batch.column(1).to_pylist())):
-                ids, at = ids + end, 0
-                for piece, n in enumerate(cut_lengths(len(ids) // 4, capacity)):
-                    part = ids[4 * at : 4 * (at + n)]
-                    b, offset = bins.place(n)
-                    source.append(row)
-                    for col, x in zip(out, (piece, at, n, zlib.crc32(part), base + b, offset, part)):
-                        col.append(x)
-                    at += n
-            kinds = [pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.binary()]
-            yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(source, pa.int64())), *(pa.array(c, k) for c, k in zip(out, kinds))], names)
-
-    schema = f"`{id_col}` {id_type.simpleString()}, piece int, start long, length long, ids_crc32 long, sequence_id long, offset long" + ", ids binary" * with_ids
+        if shared:
+            give_back()  # what other operators have left
+        encoder, base, rows = _encoder(path, cache_bytes), TaskContext.get().partitionId() << 36, 0
+        bins = OpenBins(capacity, open_bins)
+
+        def made(batch: pa.RecordBatch, source: list[int], out: dict[str, list]) -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(source, pa.int64())), *(pa.array(out[n], arrow[k]) for n, k in kinds.items())], [id_col, *kinds])
+
+        try:
+            for batch in (whole.slice(k, SLICE_ROWS) for whole in batches for k in range(0, whole.num_rows, SLICE_ROWS)):
+                source, out = [], {n: [] for n in kinds}
+                for row, ids in enumerate(encoder.encode(batch.column(1).to_pylist())):
+                    ids, at = ids + end, 0
+                    for piece, n in enumerate(cut_lengths(len(ids) // 4, capacity)):
+                        part = ids[4 * at : 4 * (at + n)]
+                        b, offset = bins.place(n)
+                        source.append(row)
+                        values = {"piece": piece, "start": at, "length": n, "ids_crc32": zlib.crc32(part), "sequence_id": base + b, "offset": offset, "ids": part, "row_id": base + rows}
+                        for name, column in out.items():
+                            column.append(values[name])
+                        at += n
+                        if len(source) >= FLUSH_PIECES:
+                            yield made(batch, source, out)
+                            source, out = [], {n: [] for n in kinds}
+                    rows += 1
+                yield made(batch, source, out)
+        finally:
+            if shared:
+                encoder.clear()
+                give_back()
+
     return docs.select(id_col, text_col).mapInArrow(run, schema)
 
 
-def _encoder(path: str, cache_units: int = CACHE_UNITS, kept: dict = {}) -> Encoder:  # noqa: B006  one per worker
-    if path not in kept:
+def _encoder(path: str, cache_bytes: int = CACHE_BYTES, kept: dict = {}) -> Encoder:  # noqa: B006  one per worker and setting
+    key = (path, cache_bytes)
+    if key not in kept:
         import os
 
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
-        kept[path] = Encoder(path, cache_units)
-    return kept[path]
+        kept.clear()
+        kept[key] = Encoder(path, cache_bytes)
+    return kept[key]

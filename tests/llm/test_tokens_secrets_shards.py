@@ -91,6 +91,27 @@ def test_packing(spark, sf_dir, odd, tokenizer):
             assert at <= 1024
 
 
+def test_encoder_keeps_to_its_bytes(tokenizer):
+    encoder = packing.Encoder(prefix_tokens.default_tokenizer()[0], cache_bytes=20_000)
+    texts = [" ".join(f"w{i}é{i % 7}" for i in range(k, k + 60)) for k in range(0, 600, 20)] + random_texts(40)
+    for k in range(0, len(texts), 5):
+        got = [b for b in encoder.encode(texts[k : k + 5])]
+        assert got == [b"".join(i.to_bytes(4, "little") for i in ids(tokenizer, t)) for t in texts[k : k + 5]]
+        assert 0 <= encoder.held <= 20_000
+        assert encoder.held == sum(encoder.taken(u, x) for kept in encoder.kept.values() for u, x in kept.items())
+    assert packing._encoder(prefix_tokens.default_tokenizer()[0], 1) is not packing._encoder(prefix_tokens.default_tokenizer()[0], 2)
+
+
+def test_rows_and_ids_of_pieces(spark, odd, tokenizer, monkeypatch):
+    monkeypatch.setattr(packing, "FLUSH_PIECES", 3)
+    rows = packing.pack(odd, with_ids=True, with_row=True, shared=True).collect()
+    assert len({(r.row_id, r.piece) for r in rows}) == len(rows) and len({r.row_id for r in rows}) == odd.count()
+    flat = Counter()
+    for r in rows:
+        flat[r.row_id] += r.length
+    assert Counter(flat.values()) == Counter(len(ids(tokenizer, r.text)) + 1 for r in odd.collect())
+
+
 def test_open_bins_close_the_fullest():
     bins = packing.OpenBins(10, 2)
     assert [bins.place(n) for n in (6, 7, 8)] == [(0, 0), (1, 0), (2, 0)]
@@ -165,6 +186,65 @@ def test_shards(spark, sf_dir, odd, law):
             assert all(r.grown_shard is None for r in rows)
 
 
+def test_secrets_of_hot_texts_and_clashing_names(spark, monkeypatch):
+    monkeypatch.setattr(secret_scan, "HOT_SHARE", 3)
+    hot = "password = abcdefgh and " + "0a" * 13
+    rows = [(i, hot, "mine", 5) for i in range(20)] + [(50 + i, "nothing here", None, 6) for i in range(20)] + [(90, None, "x", 7), (91, None, None, 8), (92, "token: zyxwvu", None, 9), (93, "", "y", 1)]
+    frame = spark.createDataFrame(rows, "doc_id long, text string, secret_spans string, __key int").repartition(3)
+    clean = {r.doc_id: tuple(r)[1:] for r in secret_scan.redact(frame).collect()}
+    assert len(clean) == len(rows) and secret_scan.redact(frame).columns == frame.columns
+    for d, t, s, k in rows:
+        want = {hot: "[secret] and [secret]", "token: zyxwvu": "[secret]"}.get(t, t)
+        assert clean[d] == (want, s, k)
+    assert {r.doc_id: r.spans for r in secret_scan.digest(frame).collect()} == {d: ",".join(f"{k}:{s}:{e}" for s, _, k, e in brute_spans(t)) for d, t, _, _ in rows}
+
+
+def brute_places(rows, law, seed, buckets):
+    """Both passes over (id, text, hash) rows in plain Python: id -> (shard, slot)."""
+    dealt = {}
+    for d, text, h in rows:
+        dealt.setdefault((h >> 8) % buckets, []).append((h, d, len(text.encode()) + 1))
+    line = []
+    for b in sorted(dealt):
+        group = sorted(dealt[b])
+        line += [group[i] for i in sharding.fisher_yates(len(group), seed, b)]
+    total, at, out, slots = sum(n for _, _, n in line), 0, {}, Counter()
+    for position, (_, d, n) in enumerate(line):
+        shard = {"rows": position % 8, "bytes": min(7, at * 8 // total), "key": sharding.jump_shard(sharding.key_of(d, seed), 8)}[law]
+        out[d] = (shard, slots[shard])
+        slots[shard] += 1
+        at += n
+    return out
+
+
+@pytest.mark.parametrize("law", sharding.LAWS)
+@pytest.mark.parametrize("stretch, most", [(4096, 100_000), (2, 0)])
+def test_places_match_brute_force(spark, sf_dir, law, stretch, most, monkeypatch):
+    from pyspark.sql import functions as F
+
+    monkeypatch.setattr(sharding, "STRETCH", stretch)
+    monkeypatch.setattr(sharding, "MOST_BROADCAST", most)
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
+    hashed = docs.withColumn("h", F.xxhash64(F.lit(7), "doc_id", F.crc32("text"), F.monotonically_increasing_id()))
+    buckets = sharding.bucket_count(docs, "text", 30_000)
+    assert buckets > 4
+    want = brute_places([tuple(r) for r in hashed.collect()], law, 7, buckets)
+    got = sharding.assign_shards(docs, law=law, bucket_bytes=30_000).collect()
+    assert {r.doc_id: (r.shard, r.slot) for r in got} == want
+
+
+@pytest.mark.parametrize("law", sharding.LAWS)
+def test_large_ids_beside_a_null_one(spark, law, tmp_path):
+    rows = [(2**60 + 1, "a", 2**60 + 1), (2**60 + 3, "b", None), (None, "c", 2**61 + 1), (2**62 + 5, None, 1)]
+    frame = spark.createDataFrame(rows, "doc_id long, text string, n_chars long")
+    got = sharding.assign_shards(frame, law=law).collect()
+    assert Counter(r.doc_id for r in got) == Counter(r[0] for r in rows)
+    if law == "key":
+        assert {r.doc_id: r.shard for r in got} == {r[0]: sharding.jump_shard(sharding.key_of(r[0], 7), 8) for r in rows}
+    sharding.write_shards(frame, str(tmp_path), law=law)
+    assert Counter(map(tuple, spark.read.parquet(f"{tmp_path}/shards").select(*frame.columns).collect())) == Counter(rows)
+
+
 def test_write_shards(spark, sf_dir, tmp_path):
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     sharding.write_shards(docs, str(tmp_path), bucket_bytes=50_000)
