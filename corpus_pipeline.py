@@ -37,8 +37,11 @@ def in_proportion(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pieces of documents with their sequence and offset; workers keep fewer units, as other stages share them."""
-    return packing.pack(docs, cache_units=600_000)
+    """Pieces with their ids, sequence and offset, and a number for each row packed, as mixing repeats documents.
+
+    Workers keep fewer units and free them, as other stages share them.
+    """
+    return packing.pack(docs, with_ids=True, with_row=True, cache_bytes=32 << 20, shared=True)
 
 
 STAGES = [
