@@ -18,6 +18,8 @@ def ensure_checkpoint_dir(spark: SparkSession) -> None:
     sc = spark.sparkContext
     if sc.getCheckpointDir() is None:
         shared = spark.conf.get("spark.checkpoint.dir", None)
+        if shared is None and not sc.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         sc.setCheckpointDir(shared or tempfile.mkdtemp(prefix="dynreach-checkpoint-"))
 
 
@@ -46,6 +48,15 @@ def id_residue(column: str, modulus: int):
 
 #: Keys with more than one in so many rows are joined by broadcast: there are fewer than that.
 HOT_SHARE = 2_000
+#: Neighbours from which a node is a hub, however few rows there are, and tasks that a hub's neighbours are dealt to.
+LEAST_HOT, SALTS = 500, 64
+
+
+def hot_keys(rows: DataFrame, key: str) -> list:
+    """Keys with over 1 / HOT_SHARE of the rows, so fewer than HOT_SHARE. rows is read: a checkpoint."""
+    counts = rows.groupBy(key).agg(F.count("*").alias("n")).where(F.col("n") > LEAST_HOT)
+    total = rows.count()
+    return [r[0] for r in counts.where(F.col("n") * HOT_SHARE > total).select(key).limit(HOT_SHARE).collect()]
 
 
 def spread_join(rows: DataFrame, classes: DataFrame, key: str, how: str = "inner", n: str = "n", total: int | None = None) -> DataFrame:
@@ -76,13 +87,20 @@ def components(edges: DataFrame, a: str = "a", b: str = "b", max_rounds: int = 6
     )
     before = None
     for _ in range(max_rounds):
-        total = 2 * (e.count() if before is None else before[0])
         both = e.union(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        low = both.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n")).select("u", F.least("u", "m").alias("m"), "n")
-        large = spread_join(both.where("v > u"), low, "u", total=total).select(F.col("v").alias("u"), F.col("m").alias("v"))
+        low = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
+        # neighbours of a hub are dealt over SALTS tasks; its own row goes to each of them
+        hubs = hot_keys(e, "v")
+        above = e.select(F.col("v").alias("u"), F.col("u").alias("v"))
+        if hubs:
+            hub = F.col("u").isin(hubs)
+            above = above.withColumn("salt", F.when(hub, F.pmod(F.xxhash64("v"), F.lit(SALTS))).otherwise(F.lit(0)).cast("int"))
+            low = low.withColumn("salt", F.explode(F.when(hub, F.sequence(F.lit(0), F.lit(SALTS - 1))).otherwise(F.array(F.lit(0)))))
+        large = above.join(low, ["u", "salt"] if hubs else "u")
+        large = large.select(F.col("v").alias("u"), F.col("m").alias("v"))
         large = large.where("u <> v").distinct()
-        low = large.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n"))
-        joined = spread_join(large, low, "u", total=total)
+        low = large.groupBy("u").agg(F.min("v").alias("m"))
+        joined = large.join(low, "u")
         small = (
             joined.select(F.col("v").alias("u"), F.col("m").alias("v"))
             .union(low.select("u", F.col("m").alias("v")))

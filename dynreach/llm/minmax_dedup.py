@@ -6,9 +6,10 @@ name buckets. Work after that:
 
 1. Documents with equal sets are one class, held by its smallest id.
 2. Each bucket points its classes to its smallest one; the connected parts of those pointers
-   hold all pairs that share a bucket. They are compared in blocks: a part of any size is cut into
-   blocks of BLOCK classes, and each pair of blocks is a task of its own that checks all its pairs which share a
-   bucket on their full sets and returns a spanning forest of the links it finds.
+   hold all pairs that share a bucket. In a part beyond a block of BLOCK classes each is compared with the smallest one first: those
+   linked to it are connected, and no pair of them is looked at again, so a vast family of near copies costs its size.
+   The rest is compared in blocks: each pair of blocks with a class that is not tied is a task of its own that checks all
+   its pairs which share a bucket on their full sets and returns a spanning forest of the links it finds.
    Parts beyond PART classes are compared bucket by bucket in the same way; a pair then counts in its first common bucket.
 3. Components of the links, by distributed star contraction.
 
@@ -180,6 +181,28 @@ def _products(sets: list[np.ndarray], most_cells: int = 40_000_000) -> np.ndarra
     return (ones @ ones.T).astype(np.int64)
 
 
+def star_links(texts: DataFrame, members: DataFrame, width: int = WIDTH, percent: int = PERCENT, block: int = BLOCK) -> DataFrame:
+    """(a, b): links of the classes of parts beyond a block with their part's smallest class. Each text is shipped once,
+    and the smallest class's to every block."""
+    blocks = F.ceil(F.col("part_size") / block).cast("int")
+    large = members.where(F.col("part_size") > block).select("rep", "component", blocks.alias("blocks"))
+    centre = F.col("rep") == F.col("component")
+    rows = large.where(~centre).select("rep", "component", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int").alias("at"), F.lit(False).alias("centre"))
+    centres = large.where(centre).select("rep", "component", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("at"), F.lit(True).alias("centre"))
+
+    def check(group: pd.DataFrame) -> pd.DataFrame:
+        group = group.drop_duplicates("rep")
+        found, middle = [], shingles(group["text"][group["centre"]].iloc[0], width)
+        for rep, text in zip(group["rep"][~group["centre"]].tolist(), group["text"][~group["centre"]]):
+            s = shingles(text, width)
+            if enough(len(np.intersect1d(s, middle, assume_unique=True)), len(s), len(middle), percent):
+                found.append((rep, int(group["component"].iloc[0])))
+        _WORDS.clear()
+        return pd.DataFrame(found, columns=["a", "b"]).astype("int64")
+
+    return texts.join(rows.union(centres), "rep").groupBy("component", "at").applyInPandas(check, "a long, b long")
+
+
 def links(docs: DataFrame, sketched: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = WIDTH, percent: int = PERCENT, block: int = BLOCK, part: int = PART) -> DataFrame:
     """(a, b): links that connect all documents linked directly or through others."""
     full = sketched.where(F.col("set_hash").isNotNull() & F.col(id_col).isNotNull())
@@ -193,23 +216,32 @@ def links(docs: DataFrame, sketched: DataFrame, id_col: str = "doc_id", text_col
     loose = components(pointers)
     sizes = loose.groupBy("component").agg(F.count("*").alias("part_size"))
     members = cut(loose.join(sizes, "component").join(by_set.select("rep", "bands"), F.col("node") == F.col("rep")).select("rep", "bands", "component", "part_size"))
-    whole = members.where(F.col("part_size") <= part).select("rep", "bands", F.col("component").alias("unit"), F.col("part_size").alias("unit_size"), F.lit(False).alias("by_bucket"))
-    vast = members.where(F.col("part_size") > part).select("rep", "bands", F.explode("bands").alias("bucket"))
-    vast_sizes = vast.groupBy("bucket").agg(F.count("*").alias("unit_size")).where("unit_size > 1")
-    vast = vast.join(vast_sizes, "bucket").select("rep", "bands", F.col("bucket").alias("unit"), "unit_size", F.lit(True).alias("by_bucket"))
+    texts, packs = docs.select(F.col(id_col).alias("rep"), F.col(text_col).alias("text")), max(1, members.count() // PACK)
+    stars = cut(star_links(texts, members, width, percent, block))
+    tied = members.join(stars.select(F.col("a").alias("rep"), F.lit(True).alias("tied")), "rep", "left")
+    # the classes tied to their part's smallest one are connected: only pairs with one that is not are still open
+    members = tied.withColumn("tied", (F.col("part_size") > block) & (F.coalesce("tied", F.lit(False)) | (F.col("rep") == F.col("component"))))
+    whole = members.where(F.col("part_size") <= part).select("rep", "bands", F.col("component").alias("unit"), F.lit(False).alias("by_bucket"), "tied")
+    vast = members.where(F.col("part_size") > part).select("rep", "bands", F.explode("bands").alias("unit"), F.lit(True).alias("by_bucket"), "tied")
     units = whole.unionByName(vast)
-
-    blocks = F.ceil(F.col("unit_size") / block).cast("int")
-    packs = max(1, members.count() // PACK)
-    own = F.pmod(F.xxhash64("rep"), blocks).cast("int")
+    sizes = units.groupBy("by_bucket", "unit").agg(F.count_if(~F.col("tied")).alias("n_free"), F.count_if("tied").alias("n_tied")).where("n_free > 0 and n_free + n_tied > 1")
+    units = units.join(sizes, ["by_bucket", "unit"])
+
+    free = F.ceil(F.col("n_free") / block).cast("int")
+    one = F.col("n_free") + F.col("n_tied") <= block
+    kept = F.ceil(F.col("n_tied") / block).cast("int")
+    own = F.when(one, 0).otherwise(F.when(F.col("tied"), F.col("free") + F.pmod(F.xxhash64("rep"), F.greatest(F.col("kept"), F.lit(1)))).otherwise(F.pmod(F.xxhash64("rep"), F.col("free")))).cast("int")
+    # free blocks meet each other and the tied ones, tied blocks only free ones
+    last = F.when(F.col("one"), 0).when(F.col("tied"), F.col("free") - 1).otherwise(F.col("free") + F.col("kept") - 1)
     dealt = (
-        units.withColumns({"blocks": blocks, "own": own})
-        .withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+        units.withColumns({"free": free, "kept": kept, "one": one})
+        .withColumn("own", own)
+        .withColumn("other", F.explode(F.sequence(F.lit(0), last)))
         .withColumns({"i": F.least("own", "other"), "j": F.greatest("own", "other")})
-        .withColumn("task", F.when(F.col("blocks") == 1, F.pmod(F.xxhash64("unit"), F.lit(packs))).otherwise(F.xxhash64("by_bucket", "unit", "i", "j")))
+        .withColumn("task", F.when(F.col("one"), F.pmod(F.xxhash64("unit"), F.lit(packs))).otherwise(F.xxhash64("by_bucket", "unit", "i", "j")))
         .select("rep", "bands", "unit", "by_bucket", "own", "i", "j", "task")
     )
-    shipped = docs.select(F.col(id_col).alias("rep"), F.col(text_col).alias("text")).join(dealt, "rep")
+    shipped = texts.join(dealt, "rep")
 
     def check(rows: pd.DataFrame) -> pd.DataFrame:
         found = []
@@ -227,7 +259,7 @@ def links(docs: DataFrame, sketched: DataFrame, id_col: str = "doc_id", text_col
         return pd.DataFrame(found, columns=["a", "b"]).astype("int64")
 
     near = shipped.groupBy("task").applyInPandas(check, "a long, b long")
-    return copies.select(F.col("a").cast("long"), F.col("b").cast("long")).union(near)
+    return copies.select(F.col("a").cast("long"), F.col("b").cast("long")).union(stars).union(near)
 
 
 def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = WIDTH, percent: int = PERCENT, block: int = BLOCK, part: int = PART) -> DataFrame:

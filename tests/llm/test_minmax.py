@@ -88,6 +88,7 @@ def test_a_vast_part_beside_small_ones(spark):
 
 def test_hot_copies_and_hubs(spark, monkeypatch):
     monkeypatch.setattr(common, "HOT_SHARE", 5)
+    monkeypatch.setattr(common, "LEAST_HOT", 3)
     rows = [(i, "the very same words in every one of these rows") for i in range(50)] + made()[:60]
     rows = [(2**61 + i, t) for i, (_, t) in enumerate(rows)]
     assert answers(M.dedup(spark.createDataFrame(rows, "doc_id long, text string"))) == brute(rows)
