@@ -1,13 +1,15 @@
 """Nearest vectors by inner product, from randomly rotated one-bit codes.
 
 The index keeps of each vector the signs of its rotated components, packed, with two scalars: its
-norm, and the product of its unit vector with its code. From these the inner product with a
+norm, and the product of its unit vector with its code. A query is rounded to a few bits a component and taken apart into
+planes, so that its product with a code is a sum of bit counts of packed words. From these the inner product with a
 query is estimated without bias, and an error bound holds with a probability set by `trust`. Exact
 products are computed only for vectors whose upper bound reaches the k-th best exact product found
 so far. All rows are indexed; nothing is fitted.
 
 Queries and rows meet in blocks: a task holds one block of rows and one of queries and returns k
-rows for each query. Defined cases: vectors that are null, empty, zero or hold null or non-finite
+rows for each query. Vectors travel with their codes: for a block of some thousand queries that is less than
+fetching the candidates of each one. Defined cases: vectors that are null, empty, zero or hold null or non-finite
 components, and null ids, take no part; vectors of other lengths aren't compared; repeated rows count once; ties go to the smaller id; with
 fewer than k candidates all are returned.
 """
@@ -26,6 +28,8 @@ from dynreach.llm.common import cut
 from dynreach.llm.vectors import rotation, usable
 
 ROW_BLOCK, QUERY_BLOCK, TRUST, SEED = 16_384, 4_096, 3.0, 29
+#: Bits of a query's components.
+PLANES = 8
 
 
 def codes(vectors: np.ndarray, seed: int = SEED) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -36,6 +40,22 @@ def codes(vectors: np.ndarray, seed: int = SEED) -> tuple[np.ndarray, np.ndarray
     return np.packbits(turned >= 0, axis=1), norms, np.abs(turned).sum(1) / np.sqrt(d)
 
 
+def words(bits: np.ndarray) -> np.ndarray:
+    """Packed bytes as 64-bit words, filled up with zeros."""
+    return np.ascontiguousarray(np.pad(bits, ((0, 0), (0, -bits.shape[1] % 8)))).view(np.uint64)
+
+
+def bit_planes(x: np.ndarray) -> tuple[np.ndarray, float, float, float, float]:
+    """A query in PLANES bits a component, as packed planes from the lowest bit on, with the value of zero, the step, the
+    sum of all components, and the length of what rounding takes away, by which products with unit vectors are off at most."""
+    low, high = float(x.min()), float(x.max())
+    step = (high - low) / ((1 << PLANES) - 1) or 1.0
+    level = np.rint((x - low) / step).astype(np.int64)
+    planes = np.packbits((level[None, :] >> np.arange(PLANES)[:, None] & 1).astype(np.uint8), axis=1)
+    rounded = low + step * level
+    return words(planes), low, step, float(rounded.sum()), float(np.linalg.norm(x - rounded))
+
+
 def index(vectors: DataFrame, id_col: str, vector_col: str, seed: int = SEED) -> DataFrame:
     """(vec_id, embedding, bits, norm, fit) of every usable row."""
     rows = vectors.select(F.col(id_col).alias("vec_id"), F.col(vector_col).alias("embedding")).where(usable("embedding") & F.col("vec_id").isNotNull()).distinct()
@@ -60,15 +80,19 @@ def best_of_block(
 ) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
     """(query id, ids, products) of each query's k best vectors of a block."""
     d = vectors.shape[1]
-    signs = np.unpackbits(bits, axis=1, count=d).astype(np.float32) * 2 - 1
-    scale = (norms / fits / np.sqrt(d)).astype(np.float32)
-    slack = (norms * np.sqrt(np.maximum(1 - fits**2, 0)) / fits * trust / np.sqrt(max(d - 1, 1))).astype(np.float32)
-    turned = (queries @ rotation(d, seed)).astype(np.float32)
+    packed = words(bits)
+    held = np.bitwise_count(packed).sum(1, dtype=np.int32)
+    scale = norms / fits / np.sqrt(d)
+    slack = norms * np.sqrt(np.maximum(1 - fits**2, 0)) / fits * trust / np.sqrt(max(d - 1, 1))
+    turned = queries @ rotation(d, seed)
     lengths = np.linalg.norm(queries, axis=1)
-    for start in range(0, len(queries), 64):
-        estimates = (turned[start : start + 64] @ signs.T) * scale
-        for q, estimate in enumerate(estimates, start):
-            upper = estimate + slack * np.float32(lengths[q])
+    for q, x in enumerate(turned):
+        planes, low, step, whole, error = bit_planes(x)
+        # a component counts once where its bit is set and against it where not: twice the set ones less all
+        weighted = sum(float(1 << j) * np.bitwise_count(packed & plane).sum(1, dtype=np.int32) for j, plane in enumerate(planes))
+        estimate = (2 * (low * held + step * weighted) - whole) * scale
+        if len(ids):
+            upper = estimate + slack * lengths[q] + norms / fits * error
             most = min(k + 1, len(ids))  # the query itself may be among them
             first = np.argpartition(-estimate, most - 1)[:most]
             first = first[ids[first] != query_ids[q]]
