@@ -217,7 +217,8 @@ def links(docs: DataFrame, sketched: DataFrame, id_col: str = "doc_id", text_col
     sizes = loose.groupBy("component").agg(F.count("*").alias("part_size"))
     members = cut(loose.join(sizes, "component").join(by_set.select("rep", "bands"), F.col("node") == F.col("rep")).select("rep", "bands", "component", "part_size"))
     texts, packs = docs.select(F.col(id_col).alias("rep"), F.col(text_col).alias("text")), max(1, members.count() // PACK)
-    stars = cut(star_links(texts, members, width, percent, block))
+    vast_parts = not members.where(F.col("part_size") > block).isEmpty()  # else texts are not shuffled for them
+    stars = cut(star_links(texts, members, width, percent, block)) if vast_parts else docs.sparkSession.createDataFrame([], "a long, b long")
     tied = members.join(stars.select(F.col("a").alias("rep"), F.lit(True).alias("tied")), "rep", "left")
     # the classes tied to their part's smallest one are connected: only pairs with one that is not are still open
     members = tied.withColumn("tied", (F.col("part_size") > block) & (F.coalesce("tied", F.lit(False)) | (F.col("rep") == F.col("component"))))
