@@ -27,6 +27,8 @@ from dynreach.llm.common import give_back
 CACHE_BYTES, UNIT_BYTES, CACHE_CHARS, GROUP_CHARS, LEARN_UNITS = 384 << 20, 220, 64, 1_000_000, 3_000
 #: Rows that a worker takes from a batch at a time, and pieces that it holds before it hands them over.
 SLICE_ROWS, FLUSH_PIECES = 500, 1024
+#: The same for a worker that runs nothing else: characters, units, rows.
+ALONE_CHARS, ALONE_UNITS, ALONE_ROWS = 8_000_000, 50_000, 10_000
 
 
 class Encoder:
@@ -37,17 +39,19 @@ class Encoder:
     cache_bytes at most besides the units of one group of GROUP_CHARS characters; beyond that only units of the group at hand stay.
     """
 
-    def __init__(self, path: str, cache_bytes: int = CACHE_BYTES):
+    def __init__(self, path: str, cache_bytes: int = CACHE_BYTES, shared: bool = True):
         from tokenizers import Tokenizer
 
+        self.group_chars, self.learn_units = (GROUP_CHARS, LEARN_UNITS) if shared else (ALONE_CHARS, ALONE_UNITS)
+
         self.tokenizer, self.cache_bytes, self.held = Tokenizer.from_file(path), cache_bytes, 0
         self.special = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
         self.boundary, self.irregular = re.compile(" (?=\\S)"), re.compile(" (?!\\S)")
         self.kept: dict[str, dict[str, bytes]] = {"": {}, " ": {}}
 
     def learn(self, units: list[str], lead: str, into: dict[str, bytes]) -> None:
-        for k in range(0, len(units), LEARN_UNITS):
-            part = units[k : k + LEARN_UNITS]
+        for k in range(0, len(units), self.learn_units):
+            part = units[k : k + self.learn_units]
             for u, e in zip(part, self.tokenizer.encode_batch_fast([lead + u for u in part], add_special_tokens=False)):
                 ids = b"".join([i.to_bytes(4, "little") for i in e.ids])
                 into[u] = ids
@@ -67,7 +71,7 @@ class Encoder:
         for text in texts:
             group.append(text or "")
             held += len(group[-1])
-            if held >= GROUP_CHARS:
+            if held >= self.group_chars:
                 yield from self._group(group)
                 group, held = [], 0
         yield from self._group(group)
@@ -172,14 +176,14 @@ def pack(
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if shared:
             give_back()  # what other operators have left
-        encoder, base, rows = _encoder(path, cache_bytes), TaskContext.get().partitionId() << 36, 0
-        bins = OpenBins(capacity, open_bins)
+        encoder, base, rows = _encoder(path, cache_bytes, shared), TaskContext.get().partitionId() << 36, 0
+        bins, rows_at_once = OpenBins(capacity, open_bins), SLICE_ROWS if shared else ALONE_ROWS
 
         def made(batch: pa.RecordBatch, source: list[int], out: dict[str, list]) -> pa.RecordBatch:
             return pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(source, pa.int64())), *(pa.array(out[n], arrow[k]) for n, k in kinds.items())], [id_col, *kinds])
 
         try:
-            for batch in (whole.slice(k, SLICE_ROWS) for whole in batches for k in range(0, whole.num_rows, SLICE_ROWS)):
+            for batch in (whole.slice(k, rows_at_once) for whole in batches for k in range(0, whole.num_rows, rows_at_once)):
                 source, out = [], {n: [] for n in kinds}
                 for row, ids in enumerate(encoder.encode(batch.column(1).to_pylist())):
                     ids, at = ids + end, 0
@@ -204,12 +208,12 @@ def pack(
     return docs.select(id_col, text_col).mapInArrow(run, schema)
 
 
-def _encoder(path: str, cache_bytes: int = CACHE_BYTES, kept: dict = {}) -> Encoder:  # noqa: B006  one per worker and setting
-    key = (path, cache_bytes)
+def _encoder(path: str, cache_bytes: int = CACHE_BYTES, shared: bool = False, kept: dict = {}) -> Encoder:  # noqa: B006  one per worker and setting
+    key = (path, cache_bytes, shared)
     if key not in kept:
         import os
 
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         kept.clear()
-        kept[key] = Encoder(path, cache_bytes)
+        kept[key] = Encoder(path, cache_bytes, shared)
     return kept[key]
