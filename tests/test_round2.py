@@ -7,6 +7,7 @@ import __spark_entry__ as E
 import tests.oracle as oracle
 from dynreach.plans import relational
 from dynreach.sources import graphs as G
+from dynreach.streaming import operations as S
 
 
 @pytest.mark.parametrize("name", ["edges_example_graph", "condense_example_graph", "between_example"])
@@ -30,3 +31,15 @@ def test_recursion_takes_more_rows_than_the_default_limit(spark, sf_dir):
     finally:
         spark.conf.unset("spark.sql.cteRecursionRowLimit")
     assert sum(n for _, n in got) == G.containment_tree(spark, sf_dir).count()
+
+
+@pytest.mark.parametrize("mode", ["complete", "append"])
+def test_stream_results_are_not_kept_by_the_driver(spark, tmp_path, mode):
+    spark.createDataFrame([(i, i % 7) for i in range(50)], "id long, k long").repartition(3).write.parquet(f"{tmp_path}/in")
+    stream = spark.readStream.schema("id long, k long").option("maxFilesPerTrigger", 1).parquet(f"{tmp_path}/in")
+    frame = stream.groupBy("k").count() if mode == "complete" else stream
+    out = S.collected(frame, f"{tmp_path}/out", f"{tmp_path}/checkpoint", mode)
+    files = out.inputFiles()
+    assert files and all(f"{tmp_path}/out" in f for f in files)
+    got = sorted(map(tuple, out.collect()))
+    assert got == ([(k, len(range(k, 50, 7))) for k in range(7)] if mode == "complete" else [(i, i % 7) for i in range(50)])
