@@ -1,10 +1,17 @@
 """Queries that read given tables now, and limits that are no longer met."""
 
+import random
+import time
+
 import duckdb
+import numpy as np
+import pandas as pd
 import pytest
+from pyspark.sql import functions as F
 
 import __spark_entry__ as E
 import tests.oracle as oracle
+from dynreach.operators import baselines as B
 from dynreach.plans import relational
 from dynreach.sources import graphs as G
 from dynreach.streaming import operations as S
@@ -43,3 +50,47 @@ def test_stream_results_are_not_kept_by_the_driver(spark, tmp_path, mode):
     assert files and all(f"{tmp_path}/out" in f for f in files)
     got = sorted(map(tuple, out.collect()))
     assert got == ([(k, len(range(k, 50, 7))) for k in range(7)] if mode == "complete" else [(i, i % 7) for i in range(50)])
+
+
+@pytest.mark.parametrize("seed", [1, 2])
+def test_cover_intervals_are_the_closure(seed):
+    rng, n = random.Random(seed), 300
+    edges = np.array(sorted({tuple(sorted(rng.sample(range(n), 2), reverse=True)) for _ in range(500)}))
+    src, dst = edges[:, 0], edges[:, 1]
+    rank, level = B._postorder(n, src, dst)
+    assert sorted(rank.tolist()) == list(range(n)) and (rank[src] > rank[dst]).all() and (level[src] > level[dst]).all()
+    below = {}
+    for x in range(n):  # heads are smaller than tails
+        below[x] = {x}.union(*(below[y] for y in dst[src == x].tolist()))
+    wanted = np.array([5, 299, 150, 0, 298])
+    for size in (1, 8 * n * 3, 48 << 20):  # blocks of 64 ranks, of 192, and one block
+        at, b, e = B._covers(rank, level, src, dst, wanted, size)
+        for i, x in enumerate(wanted.tolist()):
+            spans = list(zip(b[at == i].tolist(), e[at == i].tolist()))
+            assert {r for lo, hi in spans for r in range(lo, hi + 1)} == set(rank[list(below[x])].tolist())
+            assert all(q[0] > p[1] + 1 for p, q in zip(spans, spans[1:]))
+
+
+def test_cover_of_a_graph_with_many_inherited_intervals(spark):
+    n = 20_000  # the sets of intervals of all nodes together would hold over 10^7
+    rng = random.Random(3)
+    edges = sorted({(x, rng.randrange(max(0, x - 3000), x)) for x in range(1, n) for _ in range(2)})
+    e = spark.createDataFrame(pd.DataFrame(edges, columns=["s", "t"]))
+    comps = spark.range(n).select(F.col("id").alias("comp"))
+    pairs = spark.createDataFrame([(i, rng.randrange(n), rng.randrange(n)) for i in range(40)], "qid long, u long, v long")
+    began = time.time()
+    cover = B.tree_cover(e, comps, of=pairs.select(F.col("u").alias("comp")))
+    got = {r.qid: r.reachable for r in B.tree_cover_reach(cover, pairs).collect()}
+    assert time.time() - began < 20
+    below, out = {}, {}
+    for a, b in edges:
+        out.setdefault(a, []).append(b)
+    for r in pairs.collect():
+        seen, stack = {r.u}, [r.u]
+        while stack:
+            for y in out.get(stack.pop(), ()):
+                if y not in seen:
+                    seen.add(y)
+                    stack.append(y)
+        below[r.qid] = r.v in seen
+    assert got == below and len(set(got.values())) == 2
