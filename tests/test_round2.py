@@ -11,7 +11,9 @@ from pyspark.sql import functions as F
 
 import __spark_entry__ as E
 import tests.oracle as oracle
-from dynreach.operators import baselines as B
+from dynreach.conf import EngineConf
+from dynreach.model import OPS
+from dynreach.operators import baselines as B, index as I, updates as U
 from dynreach.plans import relational
 from dynreach.sources import graphs as G
 from dynreach.streaming import operations as S
@@ -94,3 +96,27 @@ def test_cover_of_a_graph_with_many_inherited_intervals(spark):
                     stack.append(y)
         below[r.qid] = r.v in seen
     assert got == below and len(set(got.values())) == 2
+
+
+@pytest.mark.parametrize("seed", [3, 4])
+def test_one_by_one_beyond_what_a_task_takes(spark, seed):
+    rng = random.Random(seed)
+    edges = {(100 * p + rng.randrange(12), 100 * p + rng.randrange(12)) for p in range(6) for _ in range(20)}
+    ops, live = [], set(edges)
+    nodes = lambda: sorted({x for e in edges for x in e})
+    for i in range(30):
+        kind = rng.choice(["insert_edge", "insert_edge", "delete_edge", "insert_node", "delete_node"])
+        u, v, outs, ins = rng.choice(nodes()), None, None, None
+        if kind == "insert_edge":
+            v = rng.choice([x for x in nodes() if x // 100 == u // 100])
+            live.add((u, v))
+        elif kind == "delete_edge":
+            u, v = rng.choice(sorted(live))
+        elif kind == "insert_node":
+            u, outs, ins = 7000 + i, [rng.choice(nodes())], [rng.choice(nodes())] if i % 2 else None
+        ops.append((i, None, kind, u, v, outs, ins))
+    frame = spark.createDataFrame(ops, OPS)
+    ix = I.build(spark.createDataFrame(sorted(edges), "src long, dst long"))
+    want = {r.node: r.comp for r in U.apply(ix, frame, "sequential").membership.collect()}
+    got = U.apply(ix, frame, "sequential", EngineConf(local_rows=100, driver_rows=0)).membership.collect()
+    assert {r.node: r.comp for r in got} == want and len(got) == len(want)
