@@ -27,9 +27,11 @@ from pyspark.sql import functions as F
 from dynreach.llm.common import cut
 from dynreach.llm.vectors import rotation, usable
 
-ROW_BLOCK, QUERY_BLOCK, TRUST, SEED = 16_384, 4_096, 3.0, 29
+ROW_BLOCK, QUERY_BLOCK, TRUST, SEED = 16_384, 4_096, 4.0, 29
 #: Bits of a query's components.
 PLANES = 8
+#: Vectors of the largest estimates whose products are computed first: the k-th best of them is what bounds are held against.
+FIRST = 256
 
 
 def codes(vectors: np.ndarray, seed: int = SEED) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -45,6 +47,16 @@ def words(bits: np.ndarray) -> np.ndarray:
     return np.ascontiguousarray(np.pad(bits, ((0, 0), (0, -bits.shape[1] % 8)))).view(np.uint64)
 
 
+def counted(columns: list[np.ndarray], plane: np.ndarray) -> np.ndarray:
+    """Bits that each row's words have in common with the plane; columns hold the first words of all rows, the second ones, and so on."""
+    if len(columns) == 1:
+        return np.bitwise_count(columns[0] & plane[0])
+    total = np.zeros(len(columns[0]), np.int32)
+    for column, word in zip(columns, plane):
+        total += np.bitwise_count(column & word)
+    return total
+
+
 def bit_planes(x: np.ndarray) -> tuple[np.ndarray, float, float, float, float]:
     """A query in PLANES bits a component, as packed planes from the lowest bit on, with the value of zero, the step, the
     sum of all components, and the length of what rounding takes away, by which products with unit vectors are off at most."""
@@ -80,25 +92,32 @@ def best_of_block(
 ) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
     """(query id, ids, products) of each query's k best vectors of a block."""
     d = vectors.shape[1]
-    packed = words(bits)
-    held = np.bitwise_count(packed).sum(1, dtype=np.int32)
+    columns = [np.ascontiguousarray(c) for c in words(bits).T]
+    held = counted(columns, [np.uint64(0xFFFFFFFFFFFFFFFF)] * len(columns))
     scale = norms / fits / np.sqrt(d)
     slack = norms * np.sqrt(np.maximum(1 - fits**2, 0)) / fits * trust / np.sqrt(max(d - 1, 1))
+    loose, rounding = norms / fits, 1e-12 * d * norms.max(initial=0.0)
     turned = queries @ rotation(d, seed)
     lengths = np.linalg.norm(queries, axis=1)
     for q, x in enumerate(turned):
         planes, low, step, whole, error = bit_planes(x)
         # a component counts once where its bit is set and against it where not: twice the set ones less all
-        weighted = sum(float(1 << j) * np.bitwise_count(packed & plane).sum(1, dtype=np.int32) for j, plane in enumerate(planes))
+        weighted = np.zeros(len(ids), np.int64)
+        for plane in planes[::-1]:
+            weighted *= 2
+            weighted += counted(columns, plane)
         estimate = (2 * (low * held + step * weighted) - whole) * scale
         if len(ids):
-            upper = estimate + slack * lengths[q] + norms / fits * error
-            most = min(k + 1, len(ids))  # the query itself may be among them
-            first = np.argpartition(-estimate, most - 1)[:most]
+            upper = estimate + slack * lengths[q] + loose * error
+            most = min(max(k + 1, FIRST), len(ids))  # the query itself may be among them
+            first = np.argpartition(estimate, len(ids) - most)[len(ids) - most :]
             first = first[ids[first] != query_ids[q]]
-            least = np.sort(vectors[first] @ queries[q])[-k] if len(first) >= k else -np.inf
+            least = np.partition(vectors[first] @ queries[q], len(first) - k)[len(first) - k] if len(first) >= k else -np.inf
             chosen = np.flatnonzero(upper >= least - 1e-5 * abs(least)) if least > -np.inf else np.arange(len(ids))
             chosen = chosen[ids[chosen] != query_ids[q]]
+            if len(chosen) > k:  # summed in any order first: what is off by more than rounding can't be among the k best
+                rough = vectors[chosen] @ queries[q]
+                chosen = chosen[~(rough < np.partition(rough, len(chosen) - k)[len(chosen) - k] - rounding * lengths[q])]
             products = np.cumsum(vectors[chosen] * queries[q], axis=1)[:, -1]  # summed in order, as SQL does
             order = np.lexsort((ids[chosen], -products))[:k]
             yield query_ids[q], ids[chosen][order], products[order]

@@ -110,3 +110,24 @@ def test_search_odd_rows(odd):
     got = [(r.query_id, r.rank, r.vec_id) for r in one_bit_search.search(odd, odd.where("vec_id = 10")).collect()]
     assert sorted(got) == [(10, 1, 1), (10, 2, 2), (10, 3, 3), (10, 4, 11)]
     assert one_bit_search.search(odd.limit(0), odd).count() == 0
+
+
+def test_search_sums_in_order_only_what_may_be_near(monkeypatch):
+    rng = np.random.default_rng(5)
+    x = rng.standard_normal((8_000, 64))
+    x /= np.linalg.norm(x, axis=1)[:, None]
+    ids, asked, summed = np.arange(8_000), np.arange(0, 8_000, 200), []
+    cumsum = np.cumsum
+    monkeypatch.setattr(one_bit_search.np, "cumsum", lambda a, axis: summed.append(len(a)) or cumsum(a, axis=axis))
+    found = list(one_bit_search.best_of_block(x[asked], asked, x, ids, *one_bit_search.codes(x), 20, one_bit_search.TRUST))
+    assert max(summed) <= 25
+    for q, near, products in found:
+        scores = np.where(ids == q, -9, x @ x[q])
+        assert set(near.tolist()) == set(np.argsort(-scores)[:20].tolist()) and np.allclose(products, scores[near])
+
+
+def test_search_counts_bits_over_several_words():
+    bits = np.random.default_rng(3).integers(0, 256, (50, 20), dtype=np.uint8)
+    columns = list(one_bit_search.words(bits).T)
+    plane = one_bit_search.words(bits[:1])[0]
+    assert one_bit_search.counted(columns, plane).tolist() == np.unpackbits(bits & bits[:1], axis=1).sum(1).tolist()
