@@ -75,6 +75,21 @@ def spread_join(rows: DataFrame, classes: DataFrame, key: str, how: str = "inner
     return rows.join(far, key).unionByName(rest.join(classes.where(~hot), key, how))
 
 
+#: Words of 64 bits that are broadcast at most to tell which ids are asked for.
+MOST_BITS = 1 << 18
+
+
+def likely(rows: DataFrame, ids: DataFrame, key: str) -> DataFrame:
+    """All rows whose key is among ids and a few others, told apart without a shuffle: an id sets one of 16 bits for each
+    row of ids, up to MOST_BITS words, beyond which more of the others come through. The keys are whole numbers."""
+    places = 64 * min(MOST_BITS, max(1, ids.count() // 4))
+    place = F.pmod(F.xxhash64(F.lit(7), F.col(key).cast("long")), F.lit(places))
+    at = ids.select(F.floor(place / 64).cast("int").alias("__word"), F.pmod(place, F.lit(64)).cast("int").alias("__bit"))
+    bits = at.groupBy("__word").agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), F.col("__bit"))).alias("__bits"))
+    found = rows.withColumn("__word", F.floor(place / 64).cast("int")).join(F.broadcast(bits), "__word")
+    return found.where(F.getbit("__bits", F.pmod(place, F.lit(64)).cast("int")) == 1).select(*rows.columns)
+
+
 def components(edges: DataFrame, a: str = "a", b: str = "b", max_rounds: int = 60) -> DataFrame:
     """Connected components of undirected edges as (node, component), component = smallest node.
 

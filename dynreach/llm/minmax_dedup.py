@@ -13,7 +13,8 @@ name buckets. Work after that:
    Parts beyond PART classes are compared bucket by bucket in the same way; a pair then counts in its first common bucket.
 3. Components of the links, by distributed star contraction.
 
-No pair that shares a band is skipped, and no group is gathered whole. Defined cases: null texts and
+Texts that no comparison asks for are left where they are: bits of the ids in question are broadcast, and only what they
+let through is shuffled. No pair that shares a band is skipped, and no group is gathered whole. Defined cases: null texts and
 texts without words have no shingles and link with nothing; texts under `width` words are one
 shingle; rows that share an id are one document, null ids link with nothing; extra columns pass through `dedup`.
 """
@@ -29,7 +30,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from dynreach.llm.common import Forest, components, cut, give_back, seeded, spread_join
+from dynreach.llm.common import Forest, components, cut, give_back, likely, seeded, spread_join
 
 WIDTH, PERCENT = 5, 85
 PERMUTATIONS = 128
@@ -190,6 +191,8 @@ def star_links(texts: DataFrame, members: DataFrame, width: int = WIDTH, percent
     rows = large.where(~centre).select("rep", "component", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int").alias("at"), F.lit(False).alias("centre"))
     centres = large.where(centre).select("rep", "component", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("at"), F.lit(True).alias("centre"))
 
+    texts = likely(texts, large.select("rep"), "rep")
+
     def check(group: pd.DataFrame) -> pd.DataFrame:
         group = group.drop_duplicates("rep")
         found, middle = [], shingles(group["text"][group["centre"]].iloc[0], width)
@@ -242,7 +245,7 @@ def links(docs: DataFrame, sketched: DataFrame, id_col: str = "doc_id", text_col
         .withColumn("task", F.when(F.col("one"), F.pmod(F.xxhash64("unit"), F.lit(packs))).otherwise(F.xxhash64("by_bucket", "unit", "i", "j")))
         .select("rep", "bands", "unit", "by_bucket", "own", "i", "j", "task")
     )
-    shipped = texts.join(dealt, "rep")
+    shipped = likely(texts, units.select("rep"), "rep").join(dealt, "rep")
 
     def check(rows: pd.DataFrame) -> pd.DataFrame:
         found = []

@@ -111,3 +111,12 @@ def test_signature_estimates():
     a, b = np.arange(1, 2000, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15), np.arange(400, 2400, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
     same = (M.signature(M._mixed(a)) == M.signature(M._mixed(b))).mean()
     assert abs(same - 1600 / 2399) < 0.12
+
+
+def test_texts_not_asked_for_stay_where_they_are(spark):
+    texts = spark.range(20_000).selectExpr("id - 5 as rep", "concat('text ', id) as text").union(spark.createDataFrame([(None, "x")], "rep long, text string"))
+    ids = spark.range(0, 15_000, 15).selectExpr("id as rep").union(spark.createDataFrame([(-5,), (10**12,)], "rep long"))
+    got = [r.rep for r in common.likely(texts, ids, "rep").collect() if r.rep is not None]
+    assert len(got) == len(set(got)) and set(range(0, 15_000, 15)) | {-5} <= set(got)
+    assert len(got) < 1001 + 20_000 / 8
+    assert common.likely(texts, ids.limit(0), "rep").count() == 0
